@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import unicodedata
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,7 +29,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from .scratch import stored
-from .words import WordMemo
+from .words import LazyMemo
 
 LENGTH, WINDOW_SEQUENCES, MOST_QUEUES, PREFIX_ROWS = 2048, 64, 4096, 500_000
 TOKENIZER = "word_bpe_49k.json"
@@ -57,9 +58,11 @@ class WordTokenizer:
         self.whole.no_truncation(), self.whole.no_padding()
         self.dtype = np.dtype("<u2" if self.whole.get_vocab_size() <= 65536 else "<u4")
         self.byte = _byte_letters()
-        self.special = [t.content for t in self.whole.get_added_tokens_decoder().values()]
+        self.code, self.model = "H" if self.dtype.itemsize == 2 else "I", self.whole.model
+        # Special strings may touch words, and there are separators that only Python splits at.
+        self.odd = ["\x1c", "\x1d", "\x1e", "\x1f", *(t.content.lower() for t in self.whole.get_added_tokens_decoder().values())]
         self.tails: dict[str, bytes] = {}
-        self.memo = WordMemo(self._fill)
+        self.memo = LazyMemo(self._word)
 
     def _pack(self, ids) -> bytes:
         return np.asarray(ids, self.dtype).tobytes()
@@ -67,27 +70,30 @@ class WordTokenizer:
     def _whole(self, word: str) -> bytes:
         return self._pack(self.whole.encode(word, add_special_tokens=False).ids)
 
-    def _fill(self, words: list[str]) -> list[bytes]:
-        out, letters, model = [], self.LETTERS, self.whole.model
-        for word in words:
-            stem = word.rstrip(".,")
-            low = stem.lower()
-            if low and letters.issuperset(low):
-                low = low if low.isascii() else "".join(self.byte[b] for b in low.encode())
-                tail = word[len(stem) :]
-                if tail not in self.tails:
-                    self.tails[tail] = self._whole(tail) if tail else b""
-                out.append(self._pack([t.id for t in model.tokenize(low)]) + self.tails[tail])
-            else:
-                out.append(self._whole(word))
-        return out
+    def _word(self, word: str) -> bytes:
+        if word.isascii() and word.isalpha():
+            return array(self.code, [t.id for t in self.model.tokenize(word.lower())]).tobytes()
+        stem = word.rstrip(".,")
+        low = stem.lower()
+        if not low or not self.LETTERS.issuperset(low):
+            return self._whole(word)
+        tail = word[len(stem) :]
+        if tail not in self.tails:
+            self.tails[tail] = self._whole(tail) if tail else b""
+        low = low if low.isascii() else "".join(self.byte[b] for b in low.encode())
+        return array(self.code, [t.id for t in self.model.tokenize(low)]).tobytes() + self.tails[tail]
 
     def encode(self, text: str) -> bytes:
-        if any(s in text for s in self.special) or not unicodedata.is_normalized("NFC", text):
-            return self._whole(text)  # special strings may touch words; joining marks may touch spaces
-        words = text.split()
-        self.memo.learn(dict.fromkeys(words))
-        return b"".join(map(self.memo.__getitem__, words))
+        try:
+            text.encode("latin-1")
+            low = text.lower()  # within Latin-1, character by character and in composed form
+        except UnicodeEncodeError:
+            if not unicodedata.is_normalized("NFC", text):
+                return self._whole(text)  # joining marks may touch spaces
+            low = text
+        if any(x in low for x in self.odd) or (low is text and any(x in text.lower() for x in self.odd)):
+            return self._whole(text)
+        return b"".join(map(self.memo.__getitem__, low.split()))
 
 
 def tokenized(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text: str = "text", source: str = "source", end_id: int = 1) -> DataFrame:

@@ -18,3 +18,17 @@ class WordMemo(dict):
             new = list(words)
         if new:
             self.update(zip(new, self._fill(new), strict=True))
+
+
+class LazyMemo(dict):
+    """word -> value, computed where it is missing; bounded in the same way."""
+
+    def __init__(self, of, most: int = 800_000):
+        super().__init__()
+        self._of, self._most = of, most
+
+    def __missing__(self, word):
+        if len(self) >= self._most:
+            self.clear()
+        value = self[word] = self._of(word)
+        return value
