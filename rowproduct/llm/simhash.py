@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from .components import connected_components
 from .scratch import stored
 
-SAMPLE, LEAF, BLOCK, MOST_LEAVES = 4096, 8192, 16384, 4096
+SAMPLE, LEAF, BLOCK, MOST_LEAVES = 4096, 32768, 65536, 4096
 LAST_ID = (1 << 63) - 1
 
 
