@@ -85,7 +85,7 @@ def choose_terms(sets, labels: np.ndarray, least: float = 15.0) -> np.ndarray:
     return seen[order][g[order] >= least]
 
 
-def fit(sets, labels: np.ndarray, epochs: int = 40, rate: float = 0.15, penalty: float = 1e-4) -> Machine:
+def fit(sets, labels: np.ndarray, epochs: int = 25, rate: float = 0.3, penalty: float = 1e-4, pair_rate: float = 0.1) -> Machine:
     labels = np.asarray(labels, float)
     if not len(labels) or labels.min() == labels.max():
         m = Machine(np.arange(0), 0.0)
@@ -110,7 +110,7 @@ def fit(sets, labels: np.ndarray, epochs: int = 40, rate: float = 0.15, penalty:
             gb, gw, gv = gb + err.sum() ** 2, gw + dw**2, gv + dv**2
             m.bias -= rate * err.sum() / np.sqrt(gb)
             m.w -= rate * dw / np.sqrt(gw)
-            m.v -= 0.3 * rate * dv / np.sqrt(gv)
+            m.v -= pair_rate * rate * dv / np.sqrt(gv)
     return m
 
 
