@@ -110,7 +110,10 @@ def with_verdict(df: DataFrame, rules=BASE_RULES + OWN_RULES, text: str = "text"
     for r in ordered:
         out = _with_groups(out, r.needs, done, F.col("_q_alive"))
         out = out.withColumn("_q_alive", F.when(F.col("_q_alive"), ~F.coalesce(F.expr(r.rejects), F.lit(False))).otherwise(F.lit(False)))
-    return out.select(*[F.col("_q_row").getField(c).alias(c) for c in names], F.col("_q_alive").alias("kept"))
+    # A filter on the verdict must not be pushed below: it would copy every measure into one predicate. The
+    # optimizer leaves filters above values that may differ by row place, as this one formally does.
+    verdict = F.when(F.monotonically_increasing_id() >= 0, F.col("_q_alive"))
+    return out.select(*[F.col("_q_row").getField(c).alias(c) for c in names], verdict.alias("kept"))
 
 
 def measure(df: DataFrame, id_col: str = "doc_id", text: str = "text", own=OWN_RULES, ordered: list[Rule] | None = None) -> DataFrame:
