@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .oracles import ORACLES
+
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -97,4 +99,5 @@ def pipeline(spark, sf_dir):
 QUERIES = {f.__name__: f for f in (
     op1_sentencepiece, op2_nearest_neighbours, op3_simhash_near_dedup, op4_toxicity, op5_packing, op6_license_scan,
     op7_token_counts, op8_line_dedup, op9_quality_rules, op10_warc, pipeline)}
-ORACLES: dict[str, str] = {}
+
+__all__ = ["ORACLES", "QUERIES"]
