@@ -43,13 +43,13 @@ def text_of(c):
 PF = src.part_follow
 
 
-@query("select i, string_agg(cast(j as varchar), ',' order by j) cols, string_agg(cast(v as varchar), ',' order by j) vals from pf group by 1")
+@query("select i, string_agg(cast(j as varchar), ',' order by j) cols, string_agg(cast(v as varchar), ',' order by j) vals from pf group by 1", name="to_rows")
 def to_rows_sorted(s, d):
     r = require_sorted(to_rows(PF(s, d)))
     return r.select("i", text_of("cols").alias("cols"), text_of("vals").alias("vals"))
 
 
-@query(triples("pf"))
+@query(triples("pf"), name="to_triples")
 def to_triples_back(s, d):
     return to_triples(shuffle_within_rows(to_rows(PF(s, d)), 3))
 
@@ -59,12 +59,12 @@ def row_pointers(s, d):
     return alg.row_pointers(PF(s, d))
 
 
-@query(triples("sf"))
+@query(triples("sf"), name="to_map_rows")
 def to_map_rows_back(s, d):
     return to_map_rows(src.supplier_follow(s, d)).select("i", F.explode("row").alias("j", "v"))
 
 
-@query("select i, j, cast(sum(v) as bigint) v from (select * from sf union all select j i, i j, v from sf) group by 1, 2")
+@query("select i, j, cast(sum(v) as bigint) v from (select * from sf union all select j i, i j, v from sf) group by 1, 2", name="map_row_add")
 def map_row_sum(s, d):
     m = src.supplier_follow(s, d)
     return map_row_add(to_map_rows(m), to_map_rows(m.transpose())).select("i", F.explode("row").alias("j", "v"))
@@ -80,7 +80,7 @@ def transpose(s, d):
     return PF(s, d).transpose().df
 
 
-@query("select n.i i, string_agg(cast(coalesce(v, 0) as varchar), ',' order by r.j) cells from (select distinct i from nr) n cross join (select unnest(range(5)) j) r left join nr on nr.i = n.i and nr.j = r.j group by 1")
+@query("select n.i i, string_agg(cast(coalesce(v, 0) as varchar), ',' order by r.j) cells from (select distinct i from nr) n cross join (select unnest(range(5)) j) r left join nr on nr.i = n.i and nr.j = r.j group by 1", name="densify")
 def dense_rows(s, d):
     return densify(src.nation_region(s, d)).select("i", text_of("row").alias("cells"))
 
@@ -233,7 +233,7 @@ for _kind in ("uniform", "skewed"):
 
 # Functions
 
-@query("select w, case when w = 0 then 1 else cast(pow(2, floor(log2(w)) + 1) as bigint) end capacity from (select distinct work w from (select x.i, cast(sum(n) as bigint) work from pf x join (select i, count(*) n from pf group by 1) y on x.j = y.i group by 1))")
+@query("select w, case when w = 0 then 1 else cast(pow(2, floor(log2(w)) + 1) as bigint) end capacity from (select distinct work w from (select x.i, cast(sum(n) as bigint) work from pf x join (select i, count(*) n from pf group by 1) y on x.j = y.i group by 1))", name="table_capacity")
 def table_capacities(s, d):
     from ..plans.work import row_work
 
@@ -244,7 +244,7 @@ def table_capacities(s, d):
     return w.select("w", cap.cast("bigint").alias("capacity"))
 
 
-@query("select i, j, (j * 2654435761) & 1023 slot, (j * 2654435761) & 1023 slot_udf, bit_count(j) bits from pf")
+@query("select i, j, (j * 2654435761) & 1023 slot, (j * 2654435761) & 1023 slot_udf, bit_count(j) bits from pf", name="udf_slot")
 def slots(s, d):
     m = PF(s, d).df.withColumn("cap", F.lit(1024).cast("bigint"))
     return m.select("i", "j", tables.slot("j", "cap").alias("slot"), tables.slot_udf("j", "cap").alias("slot_udf"), F.bit_count("j").cast("tinyint").alias("bits"))
@@ -262,7 +262,7 @@ def udtf_expand_row(s, d):
     return s.sql("select p.i, e.j, e.v from packed_rows p, lateral expand_row(p.cols, p.vals) e")
 
 
-@query("select i, j, v from syn", synth_cte("syn", 6, 8, "uniform"))
+@query("select i, j, v from syn", synth_cte("syn", 6, 8, "uniform"), name="udtf_synth")
 def udtf_synth_edges(s, d):
     tables.register(s)
     return s.sql("select i, j, count(*) v from synth_edges(6, 8, 'uniform') group by i, j")
@@ -274,7 +274,7 @@ def sql_product(s, d):
     return tables.sql_product(s, "follow_triples", "follow_triples")
 
 
-@query("select x.i a, y.i b, cast(sum(x.v * y.v) as bigint) dot from em x join em y on x.j = y.j and y.i = x.i + 1 group by 1, 2")
+@query("select x.i a, y.i b, cast(sum(x.v * y.v) as bigint) dot from em x join em y on x.j = y.j and y.i = x.i + 1 group by 1, 2", name="dot_packed")
 def dot_packed_rows(s, d):
     r = to_rows(src.embed_rows(s, d))
     nxt = r.select((F.col("i") - 1).alias("i"), F.col("i").alias("b"), F.col("cols").alias("c2"), F.col("vals").alias("v2"))

@@ -58,7 +58,7 @@ def symbolic_sizes(s, d):
     return symbolic(m, m)
 
 
-@query()
+@query(name="symbolic_approx")
 def symbolic_approx_sizes(s, d):
     m = PF(s, d)
     return symbolic_approx(m, m)

@@ -10,7 +10,7 @@ from ..operators import graphs
 from ..operators.product import multiply
 from ..plans import cost, schedule
 from ..plans.advisor import advise, recipe_table as recipe_rows, stats_of
-from ..plans.work import lower_bound, prefix_sum, row_work as work_of
+from ..plans.work import lower_bound, number_rows, prefix_sum, row_work as work_of
 from ..sources import builders as src
 from ..sources.synth import synth
 from .matrices import query as _query
@@ -50,6 +50,18 @@ def sched_static(s, d):
     return schedule.static(work_of(m, m), m.nrows, P).select("i", "bucket")
 
 
+@query(f"select i, cast(ntile({P}) over (order by i) - 1 as int) bucket from rw", _RW)
+def sched_ntile(s, d):
+    """Equal row counts by rank, for ids with gaps: a dense number in place of the id."""
+    m = PF(s, d)
+    n = number_rows(work_of(m, m), ["i"], "k")
+    # As NTILE deals: the first blocks are one row larger.
+    small, more = divmod(m.nrows, P)
+    cut = more * (small + 1)
+    b = F.when(F.col("k") < cut, F.floor(F.col("k") / (small + 1))).otherwise(more + F.floor((F.col("k") - cut) / max(1, small)))
+    return n.select("i", b.cast("int").alias("bucket"))
+
+
 @query("select i, bucket from bk", _BK)
 def sched_balanced(s, d):
     m = PF(s, d)
@@ -381,3 +393,29 @@ def recipe_table(s, d):
     return recipe_rows(s).groupBy("source", "op", "row_order").agg(F.count("*").alias("cells"))
 
 
+
+
+# Probes of the machine: times, so rows only
+
+@query()
+def alloc_probe(s, d):
+    from ..study import alloc_probe as run
+
+    return run(s, 1 << 26, 1, "single").withColumn("mode", F.lit("single")).unionByName(run(s, 1 << 26, 8, "parallel").withColumn("mode", F.lit("parallel")))
+
+
+@query()
+def stanza_probe(s, d):
+    from ..study import stanza_probe as run
+
+    out = run(s, 8, 1 << 24)
+    for n in (64, 512, 4096):
+        out = out.unionByName(run(s, n, 1 << 24))
+    return out
+
+
+@query()
+def schedule_probe(s, d):
+    from ..study import schedule_probe as run
+
+    return s.createDataFrame([(p, run(s, 10_000, p, 8)) for p in ("static", "dynamic", "guided")], "policy string, seconds double")

@@ -6,11 +6,17 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .kernels import SPREAD
 
 
-@F.pandas_udf("bigint")
+def _pairs(a: str, b: str) -> T.StructType:
+    """Types as objects: DDL text needs a session, and this module is imported before there is one."""
+    return T.StructType([T.StructField(a, T.LongType()), T.StructField(b, T.LongType())])
+
+
+@F.pandas_udf(T.LongType())
 def slot_udf(cols: pd.Series, capacity: pd.Series) -> pd.Series:
     return (cols.astype("uint64") * SPREAD & (capacity.astype("uint64") - 1)).astype("int64")
 
@@ -20,13 +26,13 @@ def slot(col, capacity):
     return (F.col(col) * F.lit(SPREAD)).bitwiseAND(F.col(capacity) - 1)
 
 
-@F.pandas_udf("bigint")
+@F.pandas_udf(T.LongType())
 def merge_rows(vals: pd.Series) -> int:
     """Grouped sum, as a Python aggregate."""
     return int(vals.sum())
 
 
-@F.udtf(returnType="j bigint, v bigint")
+@F.udtf(returnType=_pairs("j", "v"))
 class ExpandRow:
     """A packed row as its entries."""
 
@@ -34,7 +40,7 @@ class ExpandRow:
         yield from zip(cols, vals, strict=True)
 
 
-@F.udtf(returnType="i bigint, j bigint")
+@F.udtf(returnType=_pairs("i", "j"))
 class SynthEdges:
     """Drawn places of a generated matrix, serially: for small scales in SQL."""
 

@@ -30,3 +30,19 @@ def test_query(spark, sf, duck, name):
     if name in catalog.ORACLES:
         cur = duck.execute(catalog.ORACLES[name])
         assert got == norm(cur.fetchall(), [c[0] for c in cur.description])
+
+
+def test_entry_module_needs_no_session():
+    import os
+    import subprocess
+    import sys
+
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    code = "import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); assert len(q) > 150 and set(o) <= set(q)"
+    subprocess.run([sys.executable, "-c", code], cwd=root, check=True, timeout=120)
+
+
+def test_entry(spark):
+    import __spark_entry__ as e
+
+    assert e.entry(spark).count() == 24214
