@@ -26,6 +26,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .scratch import stored
+
 MIN_BLOCK_WORDS = 10
 
 
@@ -107,6 +109,8 @@ def dropped(docs: DataFrame, min_block_words: int = MIN_BLOCK_WORDS, id_col: str
     lines = line_table(docs, id_col, text)
     # The first holder of each line that stands anywhere twice.
     first = lines.groupBy("h").agg(F.min(F.struct("doc", "th", "at", "once")).alias("e"), F.count("*").alias("c")).where("c > 1").select("h", "e")
+    # Written, so that the join deals both its sides anew and a line that many documents hold can be split over tasks.
+    first = stored(first, "first-holders")
     later = (F.col("doc") > F.col("e.doc")) | ((F.col("doc") == F.col("e.doc")) & (F.col("th") > F.col("e.th")))
     rows = lines.join(first, "h").where(later).select("doc", "th", "at", "pos", "words", (F.col("once") & F.col("e.once")).alias("once"), F.col("e.doc").alias("pd"), F.col("e.th").alias("pt"), F.col("e.at").alias("pa"))
     rows = rows.repartition("doc", "th").sortWithinPartitions("doc", "th", "at")
