@@ -23,6 +23,7 @@ from __future__ import annotations
 import re
 import zlib
 from collections.abc import Iterator
+from functools import lru_cache
 from heapq import heapify, heappop, heappush
 
 import numpy as np
@@ -273,7 +274,7 @@ class Encoder:
         self.v = Vocabulary(path)
         self.tree = PieceTree(self.v)
         self.relax = merge_ranks if (algorithm or ("bpe" if self.v.bpe else "unigram")) == "bpe" else relax_scores
-        self.memo = WordMemo(self._fill, 300_000)
+        self.memo = WordMemo(self._fill, 900_000)
 
     def _fill(self, units: list[str]) -> list[bytes]:
         out, k = [], 0
@@ -313,11 +314,17 @@ class Encoder:
         return out
 
 
+@lru_cache(maxsize=2)
+def encoder(path: str, algorithm: str | None) -> Encoder:
+    """A worker process keeps its encoder, and the units that it knows, from task to task."""
+    return Encoder(path, algorithm)
+
+
 def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text: str = "text", algorithm: str | None = None) -> DataFrame:
     """(doc_id, text, ids array<int>, n_tokens, ids_crc32 of little-endian unsigned 32-bit ids)"""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = Encoder(model_path, algorithm)
+        enc = encoder(model_path, algorithm)
         for b in batches:
             for k in range(0, b.num_rows, 1000):
                 r = b.slice(k, 1000)
