@@ -190,7 +190,6 @@ def _dots(dim: int):
 def search(g: Graph, queries: DataFrame, beam: int = 192, expand: int = 48, rounds: int = 10, found: int = 16) -> DataFrame:
     """queries (q, x array<double>) -> (q, node, s): the best `found` nodes that a greedy walk saw.
     A query that is a node itself begins there too."""
-    spark = queries.sparkSession
     qv = stored(normalised(queries.select(F.col("q").alias("node"), F.col("x").alias("embedding")), g.dim).withColumnRenamed("node", "q").withColumnRenamed("vec", "qvec"), "queries")
     small = qv.count() * g.dim * 4 <= QUERY_MB << 20
     side = F.broadcast(qv) if small else qv
@@ -199,10 +198,12 @@ def search(g: Graph, queries: DataFrame, beam: int = 192, expand: int = 48, roun
         full = pairs.join(g.nodes.withColumnRenamed("node", "v"), "v").join(side, "q").select("q", "v", "qvec", "vec")
         return full.mapInArrow(_dots(g.dim), "q long, v long, s float")
 
-    # Whoever equals a query's vector is a start for it, and so are a few nodes for all.
-    starts = F.broadcast(spark.createDataFrame([(e,) for e in g.entries], "v long"))
-    at_home = queries.select("q", F.col("x").alias("embedding")).join(g.members.select(F.col("node").alias("v"), "embedding"), "embedding").select("q", "v")
-    seen = scored(qv.select("q").join(starts).unionByName(at_home).distinct()).withColumn("open", F.lit(True))
+    # Whoever equals a query's vector is a start for it, and so are a few nodes for all, whose vectors go to every task.
+    first = F.broadcast(g.nodes.where(F.col("node").isin(g.entries)).withColumnRenamed("node", "v"))
+    starts = qv.select("q", "qvec", F.explode(F.array(*[F.lit(e).cast("long") for e in g.entries]) if g.entries else F.array().cast("array<bigint>")).alias("v"))
+    starts = starts.join(first, "v").select("q", "v", "qvec", "vec").mapInArrow(_dots(g.dim), "q long, v long, s float")
+    at_home = queries.select("q", F.col("x").alias("embedding")).join(g.members.select(F.col("node").alias("v"), "embedding"), "embedding").select("q", "v").where(~F.col("v").isin(g.entries) if g.entries else F.lit(True))
+    seen = starts.unionByName(scored(at_home.distinct())).withColumn("open", F.lit(True))
     order = W.partitionBy("q").orderBy(F.desc("s"), "v")
     for _ in range(rounds):
         ranked = cut(seen.withColumn("r", F.row_number().over(order)))
