@@ -274,7 +274,7 @@ class Encoder:
         self.v = Vocabulary(path)
         self.tree = PieceTree(self.v)
         self.relax = merge_ranks if (algorithm or ("bpe" if self.v.bpe else "unigram")) == "bpe" else relax_scores
-        self.memo = WordMemo(self._fill, 900_000)
+        self.memo = WordMemo(self._fill, 500_000)
 
     def _fill(self, units: list[str]) -> list[bytes]:
         out, k = [], 0
@@ -305,10 +305,9 @@ class Encoder:
         return out
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
-        units = [self.v.units(t) for t in texts]
         out = []
-        for k in range(0, len(units), 200):
-            part = units[k : k + 200]
+        for k in range(0, len(texts), 200):  # as many units as these texts have lie in memory at once
+            part = [self.v.units(t) for t in texts[k : k + 200]]
             self.memo.learn(dict.fromkeys(x for u in part for x in u))
             out += [np.frombuffer(b"".join(map(self.memo.__getitem__, u)), self.v.dtype) for u in part]
         return out

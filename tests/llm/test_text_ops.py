@@ -1,3 +1,4 @@
+import functools
 import hashlib
 import re
 import zlib
@@ -97,11 +98,15 @@ def test_license_near_copy_merges_diagonals(spark):
     assert rows == {1: "mit", 2: ""}
 
 
-def whole(text):
+@functools.lru_cache
+def library():
     from tokenizers import Tokenizer
 
-    t = Tokenizer.from_file(tokenizer_file(packing.TOKENIZER))
-    return [*t.encode(text or "", add_special_tokens=False).ids, 1]
+    return Tokenizer.from_file(tokenizer_file(packing.TOKENIZER))
+
+
+def whole(text):
+    return [*library().encode(text or "", add_special_tokens=False).ids, 1]
 
 
 def check_pack(rows, texts, length):
