@@ -56,7 +56,7 @@ def multiply(a: SparseMatrix, b: SparseMatrix, *, accumulator: str = "auto", pha
     if accumulator in kernels:
         if semiring is not PLUS_TIMES or mask is not None or lowering not in ("auto", "kernel"):
             raise ValueError("kernels compute the plain product")
-        assigned = {"balanced": lambda: balanced(row_work(a, b), n), "static": lambda: static(row_work(a, b), a.nrows, n), "hashed": lambda: None}[schedule]()
+        assigned = {"balanced": lambda: balanced(row_work(a, b, all_rows=False), n), "static": lambda: static(row_work(a, b, all_rows=False), a.nrows, n), "hashed": lambda: None}[schedule]()
         two = 1 if accumulator == "heap" else 2 if phases == "auto" else phases
         out = low.kernel(a, b, n, accumulator, assigned, lanes, two, order)
         # A kernel's rows leave in its own order; Spark promises none to a reader but by a sort.
@@ -71,7 +71,7 @@ def multiply(a: SparseMatrix, b: SparseMatrix, *, accumulator: str = "auto", pha
         lowering = "rowfetch" if total_work(a, b) > 4 * b.nnz() else "joinagg"
     if out is None:
         if lowering == "rowfetch":
-            assigned = {"balanced": lambda: balanced(row_work(a, b), n), "static": lambda: static(row_work(a, b), a.nrows, n), "hashed": lambda: None}[schedule]()
+            assigned = {"balanced": lambda: balanced(row_work(a, b, all_rows=False), n), "static": lambda: static(row_work(a, b, all_rows=False), a.nrows, n), "hashed": lambda: None}[schedule]()
             out = low.rowfetch(a, b, semiring, n, assigned, mask)
         elif lowering == "splithub":
             out = low.splithub(a, b, semiring, low.BLOCK_WORK, mask) if semiring.name != "plus_pair" else low.joinagg(a, b, semiring, mask)
