@@ -224,20 +224,20 @@ def neighbours(df: DataFrame, every: int = 50, want: int = 5, id_col: str = "vec
     """query_id, rank, vec_id, score: each query row's nearest other rows found, scored in double precision."""
     g = build(df, id_col, vec, ids_kept=want + 1)
     q = vectors(df, id_col, vec).where(F.size("x") == g.dim).where(F.pmod(F.col("id"), F.lit(every)) == 0).distinct()
-    q = stored(q.select(F.col("id"), "x"), "asked")
-    # Repeated ids with different vectors are different queries: each is known by id and vector.
-    q = q.withColumn("q", F.xxhash64("id", "x"))
-    got = search(g, q.select("q", "x"), **how)
-    pairs = got.join(g.members, "node").join(q, "q")
+    # Queries of equal vectors share one walk: a vector that a third of them have is walked once.
+    q = stored(q.select(F.col("id"), "x", F.xxhash64("x").alias("q")), "asked")
+    got = stored(search(g, q.select("q", "x").distinct(), **how).join(g.members, "node"), "found")
+    pairs = got.join(q, "q")
 
     def exact(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             if b.num_rows:
                 x, y = (b.column(c).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1) for c in (3, 4))
                 s = (x * y).sum(axis=1) / (np.sqrt((x * x).sum(axis=1)) * np.sqrt((y * y).sum(axis=1)))
-                yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(s)], ["q", "id", "ids", "score"])
+                yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(s)], ["key", "id", "ids", "score"])
 
-    full = pairs.select("q", "id", "ids", "x", "embedding").mapInArrow(exact, "q long, id long, ids array<long>, score double")
-    each = full.select("q", F.col("id").alias("query_id"), F.explode("ids").alias("vec_id"), "score").where("vec_id <> query_id")
-    w = W.partitionBy("q").orderBy(F.desc("score"), "vec_id")
+    # Repeated ids with different vectors are different queries: each is known by id and vector.
+    full = pairs.select(F.xxhash64("id", "x").alias("key"), "id", "ids", "x", "embedding").mapInArrow(exact, "key long, id long, ids array<long>, score double")
+    each = full.select("key", F.col("id").alias("query_id"), F.explode("ids").alias("vec_id"), "score").where("vec_id <> query_id")
+    w = W.partitionBy("key").orderBy(F.desc("score"), "vec_id")
     return each.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= want).select("query_id", "rank", "vec_id", "score")
