@@ -26,8 +26,9 @@ def norm(rows, cols):
 def test_query(spark, sf, duck, name):
     df = catalog.QUERIES[name](spark, sf)
     got = norm([tuple(r) for r in df.collect()], df.columns)
-    assert got[1]
-    if name in catalog.ORACLES:
+    if name not in catalog.ORACLES:
+        assert got[1]
+    else:  # may be empty on tables so small, if the SQL's result is
         cur = duck.execute(catalog.ORACLES[name])
         assert got == norm(cur.fetchall(), [c[0] for c in cur.description])
 
