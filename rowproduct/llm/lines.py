@@ -4,10 +4,14 @@ Line hashes that more than one document holds pair each later document with the
 line, so that a line of a million documents makes a million pairs, not a square of them and
 no line is too common to count. A pair is aligned by patience diff: lines that stand once
 in either document anchor the longest chain that rises in both, chains are grown by the equal lines
-beside them, and what is left is aligned again, so that moved blocks are found. A block is a run
+beside them, and what is left is aligned again until every line was tried, so that moved blocks are found. A block is a run
 of aligned lines without gaps, but for lines that the later document shares with others;
 blocks of at least `min_block_words` words go from the later document.
 
+First holders of lines are not always those of blocks, and a line may stand at several places. So runs of lines
+are hashed as well: from each line on, and up to each line, the shortest run with enough words. Such a run goes
+where an earlier document has it anywhere; together they cover every block without gaps that any two documents share.
+
 Documents are ordered by id, equal ids by text hash. Defined results: lines are compared
 without white space at their ends; lines without words belong to no block but go where both
 neighbours go with one; null ids take no part and stay; null and empty texts stay; repeated rows
@@ -52,6 +56,44 @@ def line_table(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> D
     return d.mapInArrow(run, "h binary, doc long, th long, at int, pos int, words int, once boolean")
 
 
+def run_table(docs: DataFrame, least: int, id_col: str = "doc_id", text: str = "text") -> DataFrame:
+    """(h, doc, th, lo, hi): for each line that holds words, the shortest runs of several lines that begin or end with it and
+    have enough words; lines are counted as at in line_table."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for k in range(0, b.num_rows, 500):
+                out: tuple[list, ...] = ([], [], [], [], [])
+                for doc, th, t in zip(*(c.to_pylist() for c in b.slice(k, 500).columns), strict=True):
+                    own = [x for y in (t or "").encode("utf-8", "surrogatepass").split(b"\n") if (x := y.strip())]
+                    n = [len(x.split()) for x in own]
+                    runs, lo, held = set(), 0, 0
+                    for hi, m in enumerate(n):  # the shortest run up to each line
+                        held += m
+                        while held - n[lo] >= least:
+                            held, lo = held - n[lo], lo + 1
+                        if held >= least and lo < hi:
+                            runs.add((lo, hi))
+                    hi, held = -1, 0
+                    for lo in range(len(n)):  # and from each line on
+                        while held < least and hi + 1 < len(n):
+                            hi += 1
+                            held += n[hi]
+                        if held < least:
+                            break
+                        if lo < hi:
+                            runs.add((lo, hi))
+                        held -= n[lo]
+                    for lo, hi in runs:
+                        for col, val in zip(out, (xxhash.xxh3_128_digest(b"\n".join(own[lo : hi + 1])), doc, th, lo, hi), strict=True):
+                            col.append(val)
+                types = (pa.binary(), pa.int64(), pa.int64(), pa.int32(), pa.int32())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, types, strict=True)], ["h", "doc", "th", "lo", "hi"])
+
+    d = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("th"), F.col(text).alias("text"))
+    return d.mapInArrow(run, "h binary, doc long, th long, lo int, hi int")
+
+
 def rising(values: list[int]) -> list[int]:
     """Indexes of a longest strictly rising chain, by patience piles."""
     tops: list[int] = []
@@ -97,8 +139,6 @@ def common_blocks(shared: list[tuple[int, int, bool]], words: dict[int, int], le
                     run += gap
             run.append(a)
         found |= set(run) if sum(words[x] for x in run) >= least else set()
-        if not found:
-            break
         gone |= found
         left = [x for x in left if x[0] not in found and x[0] not in aligned]
     return gone
@@ -113,6 +153,13 @@ def dropped(docs: DataFrame, min_block_words: int = MIN_BLOCK_WORDS, id_col: str
     first = stored(first, "first-holders")
     later = (F.col("doc") > F.col("e.doc")) | ((F.col("doc") == F.col("e.doc")) & (F.col("th") > F.col("e.th")))
     rows = lines.join(first, "h").where(later).select("doc", "th", "at", "pos", "words", (F.col("once") & F.col("e.once")).alias("once"), F.col("e.doc").alias("pd"), F.col("e.th").alias("pt"), F.col("e.at").alias("pa"))
+    # Runs of lines that an earlier document has anywhere: rows without a partner, pos is their last line.
+    spans = run_table(docs, min_block_words, id_col, text)
+    held = spans.groupBy("h").agg(F.min(F.struct("doc", "th")).alias("e"), F.max(F.struct("doc", "th")).alias("l")).where("e <> l").select("h", "e")
+    held = stored(held, "first-runs")
+    none = lambda t: F.lit(None).cast(t)
+    hits = spans.join(held, "h").where(later).select("doc", "th", F.col("lo").alias("at"), F.col("hi").alias("pos"), none("int").alias("words"), none("boolean").alias("once"), none("long").alias("pd"), none("long").alias("pt"), none("int").alias("pa"))
+    rows = rows.unionByName(hits)
     rows = rows.repartition("doc", "th").sortWithinPartitions("doc", "th", "at")
 
     def stream(batches: Iterator[pa.RecordBatch]):
@@ -123,14 +170,17 @@ def dropped(docs: DataFrame, min_block_words: int = MIN_BLOCK_WORDS, id_col: str
         out: list[tuple] = []
         schema = pa.schema([("doc", pa.int64()), ("th", pa.int64()), ("runs", pa.list_(pa.struct([("lo", pa.int32()), ("hi", pa.int32())]))), ("lines", pa.int32()), ("words", pa.int64())])
         for (doc, th), own in groupby(stream(batches), key=lambda r: r[:2]):
-            words, pos, by = {}, {}, {}
+            words, pos, by, whole = {}, {}, {}, set()
             for _, _, at, p, n, once, pd, pt, pat in own:  # repeated rows fall together here
-                if at not in words:
+                if n is None:
+                    whole |= set(range(at, p + 1))
+                elif at not in words:
                     words[at], pos[at] = n, p
                     by.setdefault((pd, pt), []).append((at, pat, once))
             if sum(words.values()) < min_block_words:
                 continue
-            gone = sorted(set().union(*(common_blocks(x, words, min_block_words) for x in by.values())))
+            whole |= {a for a, n in words.items() if n >= min_block_words}
+            gone = sorted(whole.union(*(common_blocks(x, words, min_block_words) for x in by.values())))
             runs: list[dict] = []
             for k, a in enumerate(gone):
                 if k and gone[k - 1] == a - 1:
