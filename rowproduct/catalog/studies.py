@@ -251,9 +251,20 @@ def bc_paths(s, d):
     return graphs.shortest_path_counts(PF(s, d), SOURCES, 3)
 
 
+@query()
+def bc_paths_whole(s, d):
+    """As bc_paths, whose SQL unrolls three levels, to the end of all searches."""
+    return graphs.shortest_path_counts(PF(s, d), SOURCES)
+
+
+@query()
+def msbfs_levels_whole(s, d):
+    return graphs.msbfs(PF(s, d), SOURCES)
+
+
 @query()
 def bc_scores(s, d):
-    return graphs.betweenness(PF(s, d), SOURCES, 3)
+    return graphs.betweenness(PF(s, d), SOURCES)
 
 
 # Triangles

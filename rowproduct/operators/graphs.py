@@ -47,24 +47,29 @@ def msbfs(m: SparseMatrix, sources: list[int], max_level: int | None = None) ->
     return seen
 
 
-def shortest_path_counts(m: SparseMatrix, sources: list[int], max_level: int) -> DataFrame:
-    """(search, vertex, level, paths)"""
+def shortest_path_counts(m: SparseMatrix, sources: list[int], max_level: int | None = None) -> DataFrame:
+    """(search, vertex, level, paths), until no search finds a new vertex where max_level is None."""
     at = m.spark.createDataFrame([(k, s, 0, 1) for k, s in enumerate(sources)], "search int, vertex bigint, level int, paths bigint")
-    seen = at
-    for level in range(1, max_level + 1):
+    seen, level = at, 0
+    while max_level is None or level < max_level:
+        level += 1
         e = m.df.select(F.col("i").alias("vertex"), F.col("j").alias("to"))
         new = at.join(e, "vertex").groupBy("search", F.col("to").alias("vertex")).agg(F.sum("paths").cast("bigint").alias("paths"))
         at = cut(new.join(seen.select("search", "vertex"), ["search", "vertex"], "left_anti").select("search", "vertex", F.lit(level).alias("level"), "paths"))
+        if not at.limit(1).count():
+            break
         seen = seen.unionByName(at)
     return seen
 
 
-def betweenness(m: SparseMatrix, sources: list[int], max_level: int) -> DataFrame:
-    """(vertex, score): dependencies of the given sources, passed back level by level; end points not counted."""
+def betweenness(m: SparseMatrix, sources: list[int], max_level: int | None = None) -> DataFrame:
+    """(vertex, score): dependencies of the given sources, passed back level by level; end points not counted.
+    max_level cuts the searches and so changes scores; None runs them to the end."""
     p = cut(shortest_path_counts(m, sources, max_level))
+    deepest = p.agg(F.max("level")).first()[0] or 0
     e = m.df.select(F.col("i").alias("vertex"), F.col("j").alias("to"))
     dep = p.select("search", "vertex", "level", "paths", F.lit(0.0).alias("d"))
-    for level in range(max_level - 1, 0, -1):
+    for level in range(deepest - 1, 0, -1):
         below = dep.where(F.col("level") == level + 1).select("search", F.col("vertex").alias("to"), ((1 + F.col("d")) / F.col("paths")).alias("g"))
         add = dep.where(F.col("level") == level).select("search", "vertex", "paths").join(e, "vertex").join(below, ["search", "to"]).groupBy("search", "vertex").agg(F.sum(F.col("paths") * F.col("g")).alias("a"))
         dep = cut(dep.join(add, ["search", "vertex"], "left").select("search", "vertex", "level", "paths", F.when(F.col("level") == level, F.coalesce("a", F.lit(0.0))).otherwise(F.col("d")).alias("d")))
