@@ -10,7 +10,8 @@ follow each other without gaps and are cut into sequences of `length` tokens; wh
 at the end becomes sequences of falling powers of two, which need no padding.
 
 Defined results: null text is an empty document (one end token); null sources share one
-queue, a source named like it included; repeated rows are packed as often as they occur;
+queue, a source named like it included; every source keeps its own queue, however many there are (the
+driver and each task hold a name and a total of each); repeated rows are packed as often as they occur;
 an empty table gives an empty result; extra columns are ignored.
 """
 
@@ -31,7 +32,9 @@ from pyspark.sql import Window as W
 from .scratch import stored
 from .words import LazyMemo
 
-LENGTH, WINDOW_SEQUENCES, MOST_QUEUES, PREFIX_ROWS = 2048, 64, 4096, 500_000
+LENGTH, WINDOW_SEQUENCES, PREFIX_ROWS = 2048, 64, 500_000
+#: Entries of window tables (windows times sources) that a task keeps.
+KEPT_ENTRIES = 2_000_000
 TOKENIZER = "word_bpe_49k.json"
 
 
@@ -148,7 +151,7 @@ class Schedule:
         a, b = 0, self.windows - 1  # the last window that begins at lo or before
         while a < b:
             m = (a + b + 1) // 2
-            a, b = (m, b) if self._window(m, table)[0][q] <= lo else (a, m - 1)
+            a, b = (m, b) if self._begin(q, m) <= lo else (a, m - 1)
         while lo < hi:
             begin, base, until = self._window(a, table)
             n = min(hi, int(until[q])) - lo
@@ -157,9 +160,16 @@ class Schedule:
                 lo += n
             a += 1
 
+    def _begin(self, q: int, w: int) -> int:
+        """sent of one queue before one window."""
+        if w >= self.windows:
+            return int(self.total[q])
+        time = np.interp(min(w * float(self.window), self.all), self.earned, self.knots)
+        return min(int(np.floor(min(float(self.total[q]), self.share[q] * time))), int(self.total[q]))
+
     def _window(self, w: int, table: dict):
         if w not in table:
-            if len(table) > 2000:
+            if len(table) > min(2000, KEPT_ENTRIES // len(self.total)):
                 table.clear()
             x = self.sent([w, w + 1])
             grants = x[:, 1] - x[:, 0]
@@ -186,14 +196,11 @@ def pack(docs: DataFrame, tokenizer_path: str, length: int = LENGTH, window_sequ
     what they have; None keeps the corpus' own proportions in every window.
     """
     spark = docs.sparkSession
-    n_sources = docs.select(F.approx_count_distinct(source)).first()[0] if source in docs.columns else 0
     if source not in docs.columns:
         docs = docs.withColumn(source, F.lit(""))
-    elif n_sources > MOST_QUEUES // 2:  # the schedule that every task holds stays of bounded size
-        docs = docs.withColumn(source, F.concat(F.lit("group "), F.pmod(F.xxhash64(source), F.lit(MOST_QUEUES)).cast("string")))
     tok = stored(tokenized(docs, tokenizer_path, id_col, text, source, end_id), "tokens")
     parts = stored(tok.groupBy("queue", "part").agg(F.sum("n").alias("n")), "parts")
-    totals = sorted((r[0], r[1]) for r in parts.groupBy("queue").agg(F.sum("n")).collect())  # at most MOST_QUEUES rows
+    totals = sorted((r[0], r[1]) for r in parts.groupBy("queue").agg(F.sum("n")).collect())  # a row a source
     names, counts = [q for q, _ in totals], [n for _, n in totals]
     weights = [n if targets is None else targets.get(q, n / max(1, sum(counts))) for q, n in totals]
     schedule = Schedule(names, counts, weights, length * window_sequences)
