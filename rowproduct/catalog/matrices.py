@@ -356,6 +356,28 @@ def join_range_blocks(s, d):
     return m.join(cells, "cell").where("i >= lo and i < hi").groupBy("b").agg(F.count("*").alias("rows"), F.sum("v").alias("total"))
 
 
+_WHOLE = "blk as (select b, b * 64 lo, b * 64 + 64 hi from range((select max(i) // 64 + 1 from pf)) t(b))"
+
+
+def _cover(s, m):
+    """(b, lo, hi): as many blocks of 64 ids as the matrix has rows for."""
+    return s.range(-(-m.nrows // 64)).select(F.col("id").cast("int").alias("b"), (F.col("id") * 64).alias("lo"), (F.col("id") * 64 + 64).alias("hi"))
+
+
+@query("select cast(b as int) b, count(*) rows, cast(sum(v) as bigint) total from blk join pf on i >= lo and i < hi group by 1", _WHOLE)
+def join_nested_buckets_whole(s, d):
+    """As join_nested_buckets, whose SQL has 64 blocks at any size, with blocks for all rows."""
+    m = PF(s, d)
+    return m.df.join(F.broadcast(_cover(s, m)), (F.col("i") >= F.col("lo")) & (F.col("i") < F.col("hi"))).groupBy("b").agg(F.count("*").alias("rows"), F.sum("v").alias("total"))
+
+
+@query("select cast(b as int) b, count(*) rows, cast(sum(v) as bigint) total from blk join pf on i >= lo and i < hi group by 1", _WHOLE)
+def join_range_blocks_whole(s, d):
+    m, grid = PF(s, d), 64
+    cells = _cover(s, m).withColumn("cell", F.explode(F.sequence(F.floor(F.col("lo") / grid), F.floor((F.col("hi") - 1) / grid))))
+    return m.df.withColumn("cell", F.floor(F.col("i") / grid)).join(cells, "cell").where("i >= lo and i < hi").groupBy("b").agg(F.count("*").alias("rows"), F.sum("v").alias("total"))
+
+
 @query("select event_id, last_value(case when event_type = 'purchase' then event_id end ignore nulls) over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding) last_purchase from events")
 def join_asof_edges(s, d):
     """As-of: each event with its user's latest purchase before it, in one pass over one sorted union."""
@@ -385,6 +407,13 @@ def join_semi_needed_rows(s, d):
     return PF(s, d).df.join(need, "i", "left_semi")
 
 
+@query("select i, j, v from pf where i in (select j from op)")
+def join_semi_needed_rows_whole(s, d):
+    """The rows that all orders need."""
+    need = src.order_part(s, d).df.select(F.col("j").alias("i")).distinct()
+    return PF(s, d).df.join(need, "i", "left_semi")
+
+
 @query("select cast(p_partkey as bigint) i from part where p_partkey not in (select i from pf)")
 def join_anti_empty_rows(s, d):
     m = PF(s, d)
