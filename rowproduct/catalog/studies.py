@@ -362,6 +362,12 @@ def doc_cosine(s, d):
     return graphs.cosine_pairs(src.doc_term(s, d), 5, drop_columns_over=50)
 
 
+@query("select x.i i, y.i j, cast(sum(x.v * y.v) as bigint) dot from dt x join dt y on x.j = y.j and x.i < y.i group by 1, 2 having sum(x.v * y.v) >= 5")
+def doc_cosine_whole(s, d):
+    """As doc_cosine, whose SQL leaves common terms out, over all terms."""
+    return graphs.cosine_pairs(src.doc_term(s, d), 5)
+
+
 @query("select x.i i, y.i j, cast(sum(x.v * y.v) as bigint) dot from em x join em y on x.j = y.j and x.i < y.i where x.i < 100000000 group by 1, 2 having sum(x.v * y.v) >= 900000000000")
 def embed_cosine(s, d):
     return graphs.cosine_pairs(src.embed_rows(s, d), 900_000_000_000)
