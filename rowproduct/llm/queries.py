@@ -72,7 +72,7 @@ def op8_line_dedup(spark, sf_dir):
     from .lines import dedup_lines
 
     out = dedup_lines(_table(spark, sf_dir, "documents"), counts=True)
-    return out.select("doc_id", F.col("_lines").alias("dropped_lines"), F.col("_words").alias("dropped_words"), F.length("text").cast("long").alias("kept_chars"), F.crc32(F.encode("text", "UTF-8")).alias("kept_crc32"))
+    return out.select("doc_id", "dropped_lines", "dropped_words", F.length("text").cast("long").alias("kept_chars"), F.crc32(F.encode("text", "UTF-8")).alias("kept_crc32"))
 
 
 def op9_quality_rules(spark, sf_dir):

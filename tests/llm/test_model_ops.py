@@ -5,6 +5,7 @@ from collections import defaultdict
 import numpy as np
 import pytest
 import xxhash
+from test_line_blocks import shared_runs
 
 from rowproduct.llm import ann, lines, pieces, simhash, toxicity
 from rowproduct.llm.components import connected_components
@@ -173,41 +174,17 @@ def test_machine_learns_pairs():
     assert ((m.score(sets) >= 0.7) == y).mean() > 0.99 and np.abs(m.v[:-1]).max() > 0.2 and linear.w.max() == 0
 
 
-def brute_blocks(docs, least):
-    """Lines that go, from the definition: align each later document with the first holders of its lines."""
-    own = {}
-    for d, t in docs:
-        rows = [(x.strip(), p) for p, x in enumerate((t or "").encode().split(b"\n")) if x.strip()]
-        own[d] = rows
-    first = {}
-    for d in sorted(own):
-        for at, (x, _) in enumerate(own[d]):
-            first.setdefault(x, (d, at))
-    out = {}
-    for d, rows in own.items():
-        shared = {at: first[x] for at, (x, _) in enumerate(rows) if first[x][0] < d}
-        words = {at: len(rows[at][0].split()) for at in shared}
-        gone = set()
-        for e in {h for h, _ in shared.values()}:
-            once = lambda x, k: sum(y == x for y, _ in own[k]) == 1
-            gone |= lines.common_blocks([(at, shared[at][1], once(rows[at][0], d) and once(rows[at][0], e)) for at in sorted(shared) if shared[at][0] == e], words, least)
-        out[d] = {rows[a][1] for a in gone}
-    return out
-
-
 def test_line_dedup(spark, sf):
     real = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
     p1, p2 = "\n".join(f"passage line {k} with seven words here" for k in range(6)), "\n".join(f"second {k} block of words again" for k in range(6))
     mine = [(1000, f"{p1}\nown a\n\n{p2}"), (1001, f"intro\n{p1}\nouttro"), (1002, f"{p2}\nmiddle of it\n{p1}"), (1003, "own a\nfree"), (1004, None), (1005, "")]
     docs = spark.createDataFrame([(*r, "x") for r in real + mine], "doc_id long, text string, _x string")
     out = {r.doc_id: r for r in lines.dedup_lines(docs, counts=True).collect()}
-    want = brute_blocks(real + mine, lines.MIN_BLOCK_WORDS)
-    assert out[1001].text == "intro\nouttro" and out[1002].text == "middle of it" and out[1003].text == "own a\nfree" and out[1000]._lines == 0
+    want = shared_runs(real + mine, lines.MIN_BLOCK_WORDS)
+    assert out[1001].text == "intro\nouttro" and out[1002].text == "middle of it" and out[1003].text == "own a\nfree" and out[1000].dropped_lines == 0
     assert out[1004].text is None and out[1005].text == "" and len(out) == len(real + mine)
     for d, t in real:
-        assert out[d]._lines == len(want[d]), d
-        if not want[d]:
-            assert out[d].text == t
+        assert out[d].text == (t if not want[d] else "\n".join(x for k, x in enumerate(t.split("\n")) if k not in want[d])), d
     assert lines.dedup_lines(docs.limit(0)).count() == 0
     twice = spark.createDataFrame([(1, p1), (1, p1), (None, p1), (2, p1)], "doc_id long, text string")
     assert sorted((r.doc_id or 0, len(r.text)) for r in lines.dedup_lines(twice).collect()) == [(0, len(p1)), (1, len(p1)), (1, len(p1)), (2, 0)]

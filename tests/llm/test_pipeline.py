@@ -2,8 +2,8 @@
 
 from collections import Counter, defaultdict
 
-import xxhash
-from test_model_ops import brute_blocks
+from test_line_blocks import shared_runs
+from test_near_sets import brute as near_sets
 from test_text_ops import brute_quality, check_pack, whole
 
 import corpus_pipeline as cp
@@ -27,18 +27,6 @@ def plant(spark, sf):
     return docs + [(i, t, "en", "planted", len(t)) for i, t in own.items()]
 
 
-def brute_prints(text):
-    w = text.encode().lower().split()
-    sh = [b" ".join(w[i : i + 5]) for i in range(len(w) - 4)] if len(w) >= 5 else [b" ".join(w)] if w else []
-    return len(sh), [sum(1 << b for b in range(64) if 2 * sum(xxhash.xxh64_intdigest(s, seed) >> b & 1 for s in sh) > len(sh)) for seed in cp.SEEDS]
-
-
-def band(n):
-    import math
-
-    return math.floor(math.log(max(n, 1)) / math.log(1 / cp.SIMILARITY))
-
-
 def test_stages_and_run(spark, sf):
     rows = plant(spark, sf)
     docs = spark.createDataFrame(rows, COLS)
@@ -57,23 +45,10 @@ def test_stages_and_run(spark, sf):
         return not (failed or 10 * symbols > chars or 10 * dup > 3 * len(lines) or chars > 25 * n or chars < 2 * n)
 
     keep = [r for r in keep if fine(r[1] or "")]
-    gone = brute_blocks([r[:2] for r in keep], 10)
+    gone = shared_runs([r[:2] for r in keep], 10)
     keep = [(r[0], "\n".join(x for k, x in enumerate(r[1].split("\n")) if k not in gone[r[0]]), *r[2:4]) for r in keep]
-    prints = {r[0]: brute_prints(r[1]) for r in keep}
-    ids, root = sorted(prints), {i: i for i in prints}
-
-    def find(i):
-        while root[i] != i:
-            i = root[i]
-        return i
-
-    for k, i in enumerate(ids):
-        for j in ids[:k]:
-            (n, x), (m, y) = prints[i], prints[j]
-            if abs(band(n) - band(m)) <= 1 and sum((a ^ b).bit_count() for a, b in zip(x, y)) <= cp.BITS or x == y and n == m:
-                a, b = find(i), find(j)
-                root[max(a, b)] = min(a, b)
-    final = {r[0]: r for r in keep if find(r[0]) == r[0]}
+    group = near_sets([r[:2] for r in keep])
+    final = {r[0]: r for r in keep if group[r[0]] == r[0]}
 
     got = cp.run(spark, folder).collect()
     texts = {i: whole(r[1]) for i, r in final.items()}
