@@ -1,7 +1,7 @@
 """Connected components over links, by alternating star contraction.
 
-Nodes are any orderable column type. Each round is two grouped minima and two
-joins; no hub's links meet in one task beyond a join that AQE may split.
+Nodes are any orderable column type. Each round is two grouped minima, combined before they move, and two
+joins that send only what changes; both are dealt by a salt beside the node, so that no hub's links meet in one task.
 """
 
 from __future__ import annotations
@@ -11,6 +11,12 @@ from pyspark.sql import functions as F
 
 from .scratch import cut
 
+SALTS = 16
+
+
+def _everywhere(df: DataFrame) -> DataFrame:
+    return df.withColumn("z", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+
 
 def connected_components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
     """links(a, b) -> (node, root): root is the least node reachable. Nodes without links
@@ -18,22 +24,17 @@ def connected_components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
     e = links.select("a", "b").where("a is not null and b is not null and a <> b")
     e = cut(e.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
     for _ in range(max_rounds):
-        # large star: every larger neighbour of u points to the least of u's neighbourhood
+        # large star: whoever points to b points to the least of b's neighbourhood, where that is less than b
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        large = (
-            both.join(least, "a").where("b > a")
-            .select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        )
-        # small star: u and its smaller neighbours point to the least of them
-        low = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = (
-            large.join(low, "a")
-            .select(F.explode(F.array(F.struct(F.col("a").alias("a"), F.col("m").alias("b")),
-                                      F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("s"))
-            .select("s.*").where("a <> b").distinct()
-        )
-        small = cut(small)
+        less = both.groupBy("a").agg(F.min("b").alias("m")).where("m < a").select(F.col("a").alias("b"), "m")
+        salted = e.withColumn("z", F.pmod(F.xxhash64("a"), F.lit(SALTS)).cast("int"))
+        large = salted.join(_everywhere(less), ["b", "z"], "left").select("a", F.coalesce("m", "b").alias("b")).distinct()
+        # small star: a node and its smaller neighbours point to the least of them
+        low = large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("c"))
+        several = _everywhere(low.where("c > 1").select("a", "m"))
+        dealt = large.withColumn("z", F.pmod(F.xxhash64("b"), F.lit(SALTS)).cast("int"))
+        moved = dealt.join(several, ["a", "z"]).where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
+        small = cut(low.select("a", F.col("m").alias("b")).unionByName(moved).distinct())
         # a forest of stars: nobody is both a child and a root, and each child has one root
         loose = small.join(small.select(F.col("b").alias("a")).distinct(), "a", "left_semi").limit(1).count()
         many = 0 if loose else small.groupBy("a").count().where("count > 1").limit(1).count()

@@ -223,9 +223,10 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, bits: int = 3, seeds=(42,
 
 
 def keep_one(docs: DataFrame, groups: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
-    """The document with the least id of each group (of equal ids, that with the least text hash), once."""
+    """The document with the least id of each group (of equal ids, that with the least text hash), once; columns may have any name."""
     # A group without any id is known by its fingerprint.
     group = [F.col("component_id"), F.when(F.col("component_id").isNull(), F.col("fingerprint")).alias("_fp")]
     first = groups.groupBy(*group).agg(F.min(F.struct(F.coalesce(F.col(id_col), F.lit(LAST_ID)).alias("_id"), F.col("th").alias("_th"))).alias("k")).select("k.*").distinct()
-    keyed = docs.withColumn("_id", F.coalesce(F.col(id_col).cast("long"), F.lit(LAST_ID))).withColumn("_th", F.xxhash64(F.coalesce(text, F.lit(""))))
-    return keyed.join(first, ["_id", "_th"], "left_semi").dropDuplicates(["_id", "_th"]).select(*docs.columns)
+    # The row travels as one value, so that its columns can have any name.
+    keyed = docs.select(F.struct("*").alias("row"), F.coalesce(F.col(id_col).cast("long"), F.lit(LAST_ID)).alias("_id"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("_th"))
+    return keyed.join(first, ["_id", "_th"], "left_semi").dropDuplicates(["_id", "_th"]).select(*[F.col("row").getField(c).alias(c) for c in docs.columns])

@@ -136,9 +136,10 @@ def test_vantage_trees_lose_no_pair():
 def test_keep_one(spark):
     long = " ".join(f"w{k}" for k in range(400))
     rows = [(5, long), (3, long + " x"), (3, long + " x"), (9, "quite another text with its own words here"), (None, "no id at all but words"), (None, "no id at all but words")]
-    docs = spark.createDataFrame([(*r, "q") for r in rows], "doc_id long, text string, fingerprint string")
+    docs = spark.createDataFrame([(*r, "q", 1, 2, "r") for r in rows], "doc_id long, text string, fingerprint string, _id int, _th int, row string")
     groups = simhash.near_duplicates(docs, 5, 25, (42, 43), ratio=0.8)
     assert sorted((r.doc_id or 0) for r in simhash.keep_one(docs, groups).collect()) == [0, 3, 9]
+    assert simhash.keep_one(docs, groups).columns == docs.columns and {(r._id, r.row) for r in simhash.keep_one(docs, groups).collect()} == {(1, "r")}
 
 
 def test_components(spark):
