@@ -48,7 +48,7 @@ def warc() -> str:
     return r"""
 with p as (select page_id, coalesce(url, '') url, coalesce(html, '') h, octet_length(encode(coalesce(html, ''))) n from pages),
 m as (select h, max(page_id) top from p group by 1)
-select page_id, regexp_replace(url, '[\r\n]', '', 'g') uri, cast(n as bigint) payload_bytes, sha1(p.h) payload_digest,
+select page_id, trim(regexp_replace(url, '[\r\n]', '', 'g')) uri, cast(n as bigint) payload_bytes, sha1(p.h) payload_digest,
   case when n >= 1000 and page_id < top then 'revisit' else 'response' end record_type, case when n >= 1000 and page_id < top then top end refers_to
 from p join m on p.h = m.h"""
 

@@ -82,12 +82,14 @@ def op9_quality_rules(spark, sf_dir):
 
 
 def op10_warc(spark, sf_dir):
+    """Archive, records put together again, WARC files, and what their parser reads."""
     from .scratch import new_path
-    from .warc import read_index, write_archive
+    from .warc import export_warc, read_pages, write_archive
 
-    path = new_path(spark, "archive")
+    path, files = new_path(spark, "archive"), new_path(spark, "warc")
     write_archive(_table(spark, sf_dir, "pages"), path)
-    return read_index(spark, path)
+    export_warc(spark, path, files)
+    return read_pages(spark, files)
 
 
 def pipeline(spark, sf_dir):

@@ -166,12 +166,13 @@ def test_word_tokenizer_equals_library(spark, sf):
 
 def test_warc(spark, sf):
     long = "x" * 1200
-    rows = [(1, "http://a", long), (2, "http://b", long), (3, None, "short"), (4, "u\r\nX: y", "short"), (5, "n", None), (2, "http://b", long), (None, "z", long), (7, "é", "é" * 999 + "\r\n\r\n")]
+    rows = [(1, "http://a", long), (2, "http://b", long), (3, None, "short"), (4, "u\r\nX: y", "short"), (5, "n", None), (2, "http://b", long), (None, "z", long), (None, "z", long), (7, "é", "é" * 999 + "\r\n\r\n"),
+            (8, " padded ", "WARC/1.1\r\nContent-Length: 3\r\n\r\nabc" + "\r\n" * 4 + "tail" * 400), (9, "big", "0123456789abcdef" * 200_000)]
     mine = spark.createDataFrame([(*r, "q") for r in rows], "page_id long, url string, html string, sha256 string")
-    for pages in (mine, spark.read.parquet(f"{sf}/pages.parquet"), mine.limit(0)):
+    many = spark.createDataFrame([(k, "u", "same short page") for k in range(9000)], "page_id long, url string, html string")  # dealt to several tasks
+    for pages in (mine, spark.read.parquet(f"{sf}/pages.parquet"), many, mine.limit(0)):
         path, out = new_path(spark, "w"), new_path(spark, "x")
         warc.write_archive(pages, path)
-        got = Counter((r.page_id, r.payload_bytes, r.payload_digest, r.record_type, r.refers_to) for r in warc.read_index(spark, path).collect())
         data = [(r.page_id, (r.html or "").encode()) for r in pages.collect()]
         top = {}
         for i, b in data:
@@ -180,9 +181,60 @@ def test_warc(spark, sf):
         for i, b in data:
             rev = i is not None and len(b) >= 1000 and i < top[b]
             want[(i, len(b), hashlib.sha1(b).hexdigest(), "revisit" if rev else "response", top[b] if rev else None)] += 1
-        assert got == want
         assert spark.read.parquet(f"{path}/payloads").count() == len({b for _, b in data})
-        if data:
-            warc.export_warc(spark, path, out, records_per_file=7)
-            back = Counter((r.record_type, r.payload_digest, bytes(r.payload)) for r in warc.read_warc(spark, out).collect())
-            assert back == Counter((k, f"sha1:{hashlib.sha1(b).hexdigest()}", b"" if k == "revisit" else b) for i, b in data for k in ["revisit" if i is not None and len(b) >= 1000 and i < top[b] else "response"])
+        assert warc.read_payloads(spark, path).where("not good").count() == 0
+        warc.export_warc(spark, path, out, file_bytes=50_000)
+        got = Counter((r.page_id, r.payload_bytes, r.payload_digest, r.record_type, r.refers_to) for r in warc.read_pages(spark, out).collect())
+        assert got == want
+        records = warc.read_warc(spark, out).where("record_type <> 'warcinfo'").collect()
+        assert len({r.record_id for r in records}) == len(data)  # repeated rows and null ids have ids of their own
+        back = Counter((r.record_type, r.payload_digest, bytes(r.payload)) for r in records)
+        assert back == Counter((k, f"sha1:{hashlib.sha1(b).hexdigest()}", b"" if k == "revisit" else b) for i, b in data for k in ["revisit" if i is not None and len(b) >= 1000 and i < top[b] else "response"])
+
+
+def test_warc_notices_changed_bytes(spark):
+    import glob
+    import gzip
+    import os
+
+    page = "<p>" + "words of a page " * 100
+    pages = spark.createDataFrame([(1, "http://a", page), (2, "http://b", page), (3, "http://c", "short")], "page_id long, url string, html string")
+    path, out = new_path(spark, "w"), new_path(spark, "x")
+    warc.write_archive(pages, path)
+    warc.export_warc(spark, path, out)
+    files = [f for f in glob.glob(f"{out}/part-*")]
+    assert files and warc.read_pages(spark, out).count() == 3
+    good = b"".join(gzip.decompress(open(f, "rb").read()) for f in files)
+    for old, new in ((b"words of a page words", b"words of a Page words"), (b"short\r\n", b"shirt\r\n"), (b"Refers-To: <urn:uuid:", b"Refers-To: <urn:uuid:0"), (b"Content-Length: ", b"Content-Length: 9")):
+        assert old in good
+        bad = new_path(spark, "bad")
+        os.makedirs(bad)
+        with open(f"{bad}/pages.warc", "wb") as f:
+            f.write(good.replace(old, new, 1))
+        with pytest.raises(Exception):
+            warc.read_pages(spark, bad).collect()
+
+
+def test_warc_of_other_writers(spark):
+    import gzip
+    import os
+
+    body = b"HTTP/1.0 200 OK\nX: y\n\n<html>\xff</html>"
+    sha = hashlib.sha1(body[body.index(b"\n\n") + 2 :])
+    import base64
+
+    b32 = base64.b32encode(sha.digest()).decode()
+    info = b"WARC/1.0\r\nwarc-type:warcinfo\r\nWARC-Record-ID: <urn:x:1>\r\nContent-Length: 3\r\n\r\na:b\r\n\r\n"
+    rec = f"WARC/1.0\r\nWARC-TYPE:  response \r\nno colon here\r\nWARC-Record-ID:<urn:x:2>\r\nX-Long: one\r\n two\r\nwarc-payload-digest: SHA1:{b32}\r\nContent-Type: application/http;msgtype=response\r\ncontent-length:{len(body)}\r\n\r\n".encode() + body + b"\r\n\r\n"
+    lf = rec.replace(b"\r\n", b"\n").replace(b"urn:x:2", b"urn:x:3")
+    folder = new_path(spark, "other")
+    os.makedirs(folder)
+    for name, data in (("a.warc", info + rec + b"\r\n"), ("b.warc.gz", gzip.compress(info) + gzip.compress(rec)), ("c", lf), ("empty.warc", b"")):
+        with open(f"{folder}/{name}", "wb") as f:
+            f.write(data)
+    got = sorted((r.record_id, r.record_type, r.digest_holds, r.uri) for r in warc.read_warc(spark, folder).collect())
+    assert got == [("urn:x:1", "warcinfo", None, None)] * 2 + [("urn:x:2", "response", True, None)] * 2 + [("urn:x:3", "response", True, None)]
+    with pytest.raises(ValueError):
+        list(warc.parse(rec[:-20]))
+    with pytest.raises(ValueError):
+        list(warc.parse(b"no archive"))
