@@ -24,24 +24,35 @@ from m"""
 
 
 def licenses() -> str:
-    rows = []
-    for k, p in enumerate(BASE + NOTICES):
-        w = p.words.split()
-        rows += [f"({k}, '{p.label}', {str(p.base).lower()}, {len(w) - 1}, {i}, '{w[i]}', '{w[i + 1]}')" for i in range(len(w) - 1)]
+    """Base phrases by comparing word lists at every place; notices by chains of equal word pairs, lengthened step by step."""
+    base = ", ".join(f"('{p.label}', {p.words.split()!r}::varchar[])" for p in BASE)
+    notes = ", ".join(f"({k}, '{p.label}', {p.words.split()!r}::varchar[], {p.must.split()!r}::varchar[])" for k, p in enumerate(NOTICES))
     upper, lower = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
     return rf"""
-with t(phrase, label, base, pairs, tat, ta, tb) as (values {', '.join(rows)}),
-d as (select row_number() over () r, doc_id, regexp_extract_all(translate(coalesce(text, ''), '{upper}', '{lower}'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') w from documents),
-p as (select r, i - 1 pos, w[i] a, w[i + 1] b from (select r, w, unnest(range(1, len(w))) i from d where len(w) > 1)),
-v as (select r, phrase, label, base, pairs, pos - tat d, count(*) votes, min(pos) lo, max(pos) hi from p join t on a = ta and b = tb group by 1, 2, 3, 4, 5, 6),
-s as (select *, case when base or d - lag(d) over (partition by r, phrase order by d) <= {DRIFT} is not true then 1 else 0 end fresh from v),
-b as (select *, sum(fresh) over (partition by r, phrase order by d) band from s),
-c as (select r, phrase, label, base, pairs, sum(votes) votes, min(lo) lo from b group by r, phrase, label, base, pairs, band),
-f as (select *, least(1.0, votes / pairs) cover from c where case when base then votes = pairs else votes / pairs >= {COVER} end)
-select doc_id, cast(len(w) as bigint) n_words, count(*) filter (base) n_base, cast(min(lo) filter (base) as bigint) first_word, cast(max(lo) filter (base) as bigint) last_word,
-  coalesce(array_to_string(list_sort(list(distinct label) filter (base)), ','), '') base_labels,
-  coalesce(array_to_string(list_sort(list(distinct label) filter (label is not null)), ','), '') labels, cast(coalesce(max(cover), 0) as double) score
-from d left join f on d.r = f.r group by d.r, doc_id, len(w)"""
+with recursive d as (select row_number() over () r, doc_id, regexp_extract_all(translate(coalesce(text, ''), '{upper}', '{lower}'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') w from documents),
+bp(label, pw) as (values {base}),
+np(phrase, label, pw, must) as (values {notes}),
+base as (select r, label, i - 1 place from (select r, w, label, pw, unnest(range(1, len(w) - len(pw) + 2)) i from d, bp) where w[i:i + len(pw) - 1] = pw),
+tp as (select phrase, len(pw) - 1 pairs, i - 1 i, pw[i] a, pw[i + 1] b from (select phrase, pw, unnest(range(1, len(pw))) i from np)),
+dp as (select r, i - 1 t, w[i] a, w[i + 1] b from (select r, w, unnest(range(1, len(w))) i from d)),
+m as (select r, phrase, pairs, t, i, t - i diag from dp join tp using (a, b)),
+anchors as (select distinct r, phrase, pairs, diag from m),
+bm as (select x.r, x.phrase, x.pairs, x.diag, m.t, m.i from anchors x join m on m.r = x.r and m.phrase = x.phrase and m.diag between x.diag and x.diag + {DRIFT}),
+likely as (select r, phrase, pairs, diag from bm group by all having count(distinct i) >= {COVER} * pairs),
+cm as (select bm.* from bm join likely using (r, phrase, pairs, diag)),
+chain(r, phrase, pairs, diag, t, i, n) as (
+  select r, phrase, pairs, diag, t, i, 1 from cm
+  union
+  select c.r, c.phrase, c.pairs, c.diag, m.t, m.i, c.n + 1 from chain c join cm m on m.r = c.r and m.phrase = c.phrase and m.diag = c.diag and m.t > c.t and m.i > c.i),
+held as (select r, phrase, diag, list(distinct a) || list(distinct b) ws from cm join tp using (phrase, i) group by all),
+notes as (select c.r, np.label, max(n / c.pairs) cover from chain c join np using (phrase) join held h using (r, phrase, diag)
+  where list_has_all(h.ws, np.must) group by all having max(n / c.pairs) >= {COVER}),
+bases as (select r, count(*) n_base, cast(min(place) as bigint) first_word, cast(max(place) as bigint) last_word, list(distinct label) ls from base group by r),
+others as (select r, list(distinct label) ls, max(cover) cover from notes group by r)
+select doc_id, cast(len(w) as bigint) n_words, coalesce(n_base, 0) n_base, first_word, last_word, coalesce(array_to_string(list_sort(b.ls), ','), '') base_labels,
+  coalesce(array_to_string(list_sort(list_distinct(coalesce(b.ls, []) || coalesce(o.ls, []))), ','), '') labels,
+  cast(case when n_base > 0 then 1 else coalesce(cover, 0) end as double) score
+from d left join bases b on d.r = b.r left join others o on d.r = o.r"""
 
 
 def warc() -> str:

@@ -98,6 +98,26 @@ def test_license_near_copy_merges_diagonals(spark):
     assert rows == {1: "mit", 2: ""}
 
 
+def test_license_no_false_labels(spark):
+    """What holds only a few of a notice's words, however often, is none of it."""
+    notice = {p.label: p.words for p in licenses.NOTICES}
+    rows = [
+        (1, "cc by " * 5), (2, "the general public of the general public and general public or general public"), (3, "general public license " * 6),
+        (4, notice["gpl-2.0"]), (5, notice["gpl-3.0"]), (6, notice["cc-by-sa-4.0"]),
+        (7, " ".join(reversed(notice["unlicense"].split()))), (8, "public domain into the released unencumbered software free and is this " * 4),
+        (9, notice["unlicense"] + " and again " + notice["unlicense"]), (10, notice["isc"].replace("modify", "alter")),
+        (11, "into the public domain software released into the free and unencumbered this is free"),
+    ]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: (r.labels, r.score) for r in licenses.scan(df).collect()}
+    assert got[1] == ("cc-by", 1.0) and got[2] == ("", 0.0) and got[3] == ("gpl", 1.0)
+    assert got[4][0] == "gpl,gpl-2.0" and got[5][0] == "gpl,gpl-3.0" and got[6][0] == "cc-by,cc-by-sa-4.0"
+    assert got[7] == got[8] == got[11] == ("", 0.0) and got[9] == ("unlicense", 1.0) and got[10][0] == "isc" and 0.8 <= got[10][1] < 1
+    n = len(notice["unlicense"].split())
+    places = sorted((r.first_word, r.last_word) for r in licenses.spans(df).where("doc_id = 9 and label is not null").collect())
+    assert places == [(0, n - 1), (n + 2, 2 * n + 1)]
+
+
 @functools.lru_cache
 def library():
     from tokenizers import Tokenizer
