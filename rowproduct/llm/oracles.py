@@ -17,9 +17,10 @@ x as (select r, i from k where (r, key) in (select r, key from k group by 1, 2 h
 n as (select r, count(distinct i + o) n from x cross join range(5) s(o) group by 1),
 m as (select w.r, doc_id, cast(len(w) as bigint) n_words, cast(length(array_to_string(w, '')) as bigint) word_chars,
   cast(length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')) as bigint) n_symbols,
-  cast(len(l) - len(list_distinct(l)) as bigint) n_dup_lines, cast(coalesce(n, 0) as bigint) n_repeat_words, len(l) n_lines from w left join n on w.r = n.r)
+  cast(len(l) - len(list_distinct(l)) as bigint) n_dup_lines, cast(coalesce(n, 0) as bigint) n_repeat_words, len(l) n_lines,
+  len(list_filter(w, lambda x: regexp_matches(x, '[^\x00-\x40\x5B-\x60\x7B-\x7F]'))) n_letters from w left join n on w.r = n.r)
 select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, n_words < 10 or 100 * n_repeat_words > 20 * n_words base_failed,
-  not (n_words < 10 or 100 * n_repeat_words > 20 * n_words or 10 * n_symbols > word_chars or 10 * n_dup_lines > 3 * n_lines or word_chars > 25 * n_words or word_chars < 2 * n_words) kept
+  not (n_words < 10 or 100 * n_repeat_words > 20 * n_words or 10 * n_symbols > word_chars or 10 * n_dup_lines > 3 * n_lines or word_chars > 25 * n_words or word_chars < 2 * n_words or 2 * n_letters < n_words) kept
 from m"""
 
 

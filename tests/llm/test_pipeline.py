@@ -1,5 +1,6 @@
 """The corpus pipeline against a plain Python version of all its stages."""
 
+import re
 from collections import Counter, defaultdict
 
 from test_line_blocks import shared_runs
@@ -42,7 +43,7 @@ def test_stages_and_run(spark, sf):
     def fine(t):
         n, chars, symbols, dup, _, failed = brute_quality(t)
         lines = [x for x in t.split("\n") if x.strip(" \t\n\x0b\x0c\r")]
-        return not (failed or 10 * symbols > chars or 10 * dup > 3 * len(lines) or chars > 25 * n or chars < 2 * n)
+        return not (failed or 10 * symbols > chars or 10 * dup > 3 * len(lines) or chars > 25 * n or chars < 2 * n or 2 * len([x for x in re.findall(r"[^\x20\x09-\x0D]+", t) if re.search(r"[A-Za-z]|[^\x00-\x7f]", x)]) < n)
 
     keep = [r for r in keep if fine(r[1] or "")]
     gone = shared_runs([r[:2] for r in keep], 10)

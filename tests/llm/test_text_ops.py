@@ -58,6 +58,40 @@ def test_quality_order_never_changes_verdicts(spark, sf, odd):
     assert quality.measure(odd.limit(0)).count() == 0
 
 
+def test_quality_order_by_rejections_per_cost():
+    a, b, c, d = (quality.Rule(x, "true", (g,)) for x, g in (("a", "words"), ("b", "repeats"), ("c", "symbols"), ("d", "repeats")))
+    costs = {"words": 1.0, "symbols": 1.0, "lines": 1.0, "repeats": 10.0, "letters": 1.0}
+    rows = [(True, True, False, True)] * 2 + [(False, True, False, False)] * 7 + [(False, False, True, True)]
+    # a: 2 for 1; b: 9 for 11; c: 1 for 1; d: 3 for 11. After a, b's words are paid for; after b, d costs nothing more but rejects only c's row.
+    assert [r.name for r in quality.pick_order((a, b, c, d), costs, rows)] == ["a", "c", "b", "d"]
+    assert [r.name for r in quality.pick_order((a, b, c, d), costs, rows, paid=("words", "repeats"))] == ["b", "d", "a", "c"]
+    assert quality.pick_order((a, b), costs, []) == [a, b] and quality.pick_order((), costs, rows) == []
+
+
+def test_quality_order_is_estimated_on_a_random_sample(spark):
+    # The first rows are all of one kind, most others full of symbols.
+    rows = [(k, "plain words of a text that nobody rejects at all here") for k in range(300)] + [(k, "$$$ %%% &&& ### some of these words are symbols only $$$$$$$$$$$$$$$$") for k in range(300, 3000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)
+    fixed = dict.fromkeys(quality.GROUPS, 1.0)
+    assert quality.order_rules(df, quality.OWN_RULES, sample_rows=100, costs=fixed)[0].name == "symbols"
+    costs, _ = quality.estimate(quality.sampled(df, sample_rows=50), quality.OWN_RULES)
+    assert set(costs) == {"words", "symbols", "lines", "letters"} and min(costs.values()) > 0
+    assert quality.order_rules(df.limit(0), quality.OWN_RULES, costs=fixed) == list(quality.OWN_RULES)
+
+
+def test_quality_skips_rules_of_rejected_rows(spark):
+    """A rule that raises never runs on a row that an earlier one has rejected."""
+    rows = [(1, "few words"), (2, "again " * 50), (3, "$ % & # * ten words or more are here in this text " + "$" * 90)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    loud = quality.Rule("loud", "raise_error(concat('ran on ', n_letter_words)) is null", ("words", "letters"))
+    symbols = quality.OWN_RULES[0]
+    assert all(not r.kept for r in quality.measure(df, own=(symbols, loud), ordered=[symbols, loud]).collect())
+    assert all(not r.kept for r in quality.with_verdict(df, ordered=[*quality.BASE_RULES, symbols, loud]).collect())
+    for out in (quality.measure(df, own=(symbols, loud), ordered=[loud, symbols]), quality.with_verdict(df, ordered=[*quality.BASE_RULES, loud, symbols])):
+        with pytest.raises(Exception, match="ran on"):
+            out.collect()
+
+
 def test_quality_keeps_clean(spark, sf):
     q = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").join(spark.read.parquet("/root/testdata/sf0.01/labels.parquet"), "doc_id")
     out = quality.with_verdict(q).groupBy("quality").agg({"*": "count", "kept": "max"})
