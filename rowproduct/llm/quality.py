@@ -89,8 +89,10 @@ def _closure(needs) -> set[str]:
 
 
 def sampled(df: DataFrame, text: str = "text", sample_rows: int = SAMPLE_ROWS, seed: int = 17) -> DataFrame:
-    """`_q_text` of sample_rows random rows of the whole table (all, if fewer), held by the driver."""
-    got = df.select(F.coalesce(text, F.lit("")).alias("_q_text"), F.rand(seed).alias("_q_by")).orderBy("_q_by").limit(sample_rows).collect()
+    """`_q_text` of about sample_rows random rows of the whole table (all, if fewer; never over twice as many), held by the driver."""
+    own = df.select(F.coalesce(text, F.lit("")).alias("_q_text"))
+    total = df.count()
+    got = (own if total <= sample_rows else own.sample(sample_rows / total, seed)).limit(2 * sample_rows).collect()
     return df.sparkSession.createDataFrame([(r[0],) for r in got], "_q_text string").coalesce(1)
 
 
