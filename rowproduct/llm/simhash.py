@@ -1,6 +1,7 @@
 """Near-duplicate groups from SimHash fingerprints, paired exactly through vantage-point trees.
 
-A shared tree, grown from a bounded sample of fingerprints, deals all fingerprints to shards:
+A shared tree deals all fingerprints to shards; it is grown on the driver from a sample of POINTS fingerprints for each shard to come
+(at least SAMPLE, at most MOST_SAMPLE):
 those within a vantage point's radius go left, the rest go right, and the ones of the left
 whose distance lies within `bits` of the radius are copied to the right. By the triangle
 inequality every pair within `bits` then shares a shard. Inside a shard the tree goes on
@@ -27,7 +28,7 @@ from pyspark.sql import functions as F
 from .components import connected_components
 from .scratch import stored
 
-SAMPLE, LEAF, BLOCK, MOST_LEAVES = 4096, 32768, 65536, 4096
+SAMPLE, MOST_SAMPLE, POINTS, LEAF, BLOCK = 4096, 1 << 20, 64, 32768, 65536
 LAST_ID = (1 << 63) - 1
 
 
@@ -84,12 +85,12 @@ def best_split(points: np.ndarray, bits: int):
     return best[1]
 
 
-def grow(points: np.ndarray, bits: int, scale: float, leaf: int = LEAF, most: int = MOST_LEAVES):
+def grow(points: np.ndarray, bits: int, scale: float, leaf: int = LEAF):
     """A tree over a sample that stands for scale times as many: nested (vantage, radius, left, right), leaves are numbers."""
     made = [0]
 
     def node(p: np.ndarray):
-        split = best_split(p, bits) if len(p) * scale > leaf and len(p) >= 32 and made[0] < most else None
+        split = best_split(p, bits) if len(p) * scale > leaf and len(p) >= 32 else None
         if split is None:
             made[0] += 1
             return made[0] - 1
@@ -170,7 +171,9 @@ def links(prints: DataFrame, bits: int, lanes: int, ratio: float | None = None,
     matrix = lambda t: np.stack([t.column(x).to_numpy().view(np.uint64) for x in names], axis=1)
     flat = prints.select("node.*", "n")
     total = flat.count()
-    sample = flat.orderBy(F.xxhash64(*names), *names).limit(SAMPLE).select(*names).toPandas()
+    want = min(MOST_SAMPLE, max(SAMPLE, POINTS * total // leaf))
+    # By a share of all hashes: nothing is sorted, and twice as many as wanted can hardly come.
+    sample = flat.where(F.pmod(F.xxhash64(*names), F.lit(max(1, total // want))) == 0).limit(2 * want).select(*names).orderBy(*names).toPandas()
     points = np.stack([sample[x].to_numpy(np.int64).view(np.uint64) for x in names], axis=1) if len(sample) else np.zeros((0, lanes), np.uint64)
     tree = grow(points, bits, total / max(1, len(points)), leaf)
 

@@ -220,3 +220,16 @@ def test_nearest_neighbours(spark):
     few = data.where("vec_id < 4")
     assert {(r.query_id, r.rank) for r in ann.neighbours(few).collect()} == {(0, 1), (0, 2), (0, 3)}
     assert ann.neighbours(data.limit(0)).count() == 0
+
+
+def test_nearest_neighbours_recall_at_size(spark):
+    """20000 vectors without any cluster: far more than a walk sees."""
+    rng = np.random.default_rng(9)
+    x = rng.normal(size=(20_000, 64)).astype(np.float32)
+    rows = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<float>")
+    want = exact_neighbours(np.arange(len(x)), x.astype(float), 200, 5)
+    got = defaultdict(set)
+    for r in ann.neighbours(rows, every=200).collect():
+        got[r.query_id].add(r.vec_id)
+    recall = np.mean([len(got[q] & {i for i, _ in want[q]}) / 5 for q in want])
+    assert recall >= 0.9, recall
