@@ -11,7 +11,7 @@ from ..functions import tables
 from ..functions.kernels import table_capacity
 from ..matrix import clean, densify, dot_packed, map_row_add, permute_columns, require_sorted, shuffle_within_rows, to_map_rows, to_rows, to_triples
 from ..operators import algebra as alg
-from ..plans.work import number_rows
+from ..plans.work import checked_broadcast, number_rows
 from ..sources import builders as src
 from ..sources import files
 from .sql import product, synth_cte, triples, with_ctes
@@ -337,26 +337,7 @@ for _hint in ("shuffle_hash", "merge", "broadcast"):
 
     query(product("pf", "pf"), name=f"join_{_hint}")(functools.partial(_hinted, hint=_hint))
 
-_BLOCKS = "blk as (select b, b * 64 lo, b * 64 + 64 hi from range(64) t(b))"
-
-
-@query("select cast(b as int) b, count(*) rows, cast(sum(v) as bigint) total from blk join pf on i >= lo and i < hi group by 1", _BLOCKS)
-def join_nested_buckets(s, d):
-    b = s.range(64).select(F.col("id").cast("int").alias("b"), (F.col("id") * 64).alias("lo"), (F.col("id") * 64 + 64).alias("hi"))
-    return PF(s, d).df.join(F.broadcast(b), (F.col("i") >= F.col("lo")) & (F.col("i") < F.col("hi"))).groupBy("b").agg(F.count("*").alias("rows"), F.sum("v").alias("total"))
-
-
-@query("select cast(b as int) b, count(*) rows, cast(sum(v) as bigint) total from blk join pf on i >= lo and i < hi group by 1", _BLOCKS)
-def join_range_blocks(s, d):
-    """The same range join as an equi-join on the grid cell that both sides fall in."""
-    grid = 64
-    b = s.range(64).select(F.col("id").cast("int").alias("b"), (F.col("id") * 64).alias("lo"), (F.col("id") * 64 + 64).alias("hi"))
-    cells = b.withColumn("cell", F.explode(F.sequence(F.floor(F.col("lo") / grid), F.floor((F.col("hi") - 1) / grid))))
-    m = PF(s, d).df.withColumn("cell", F.floor(F.col("i") / grid))
-    return m.join(cells, "cell").where("i >= lo and i < hi").groupBy("b").agg(F.count("*").alias("rows"), F.sum("v").alias("total"))
-
-
-_WHOLE = "blk as (select b, b * 64 lo, b * 64 + 64 hi from range((select max(i) // 64 + 1 from pf)) t(b))"
+_BLOCKS = "blk as (select b, b * 64 lo, b * 64 + 64 hi from range((select max(i) // 64 + 1 from pf)) t(b))"
 
 
 def _cover(s, m):
@@ -364,15 +345,19 @@ def _cover(s, m):
     return s.range(-(-m.nrows // 64)).select(F.col("id").cast("int").alias("b"), (F.col("id") * 64).alias("lo"), (F.col("id") * 64 + 64).alias("hi"))
 
 
-@query("select cast(b as int) b, count(*) rows, cast(sum(v) as bigint) total from blk join pf on i >= lo and i < hi group by 1", _WHOLE)
-def join_nested_buckets_whole(s, d):
-    """As join_nested_buckets, whose SQL has 64 blocks at any size, with blocks for all rows."""
+@query("select cast(b as int) b, count(*) rows, cast(sum(v) as bigint) total from blk join pf on i >= lo and i < hi group by 1", _BLOCKS)
+def join_nested_buckets(s, d):
+    """A range join of all rows with a small table of blocks; beyond the broadcast's bound, by grid cell."""
     m = PF(s, d)
-    return m.df.join(F.broadcast(_cover(s, m)), (F.col("i") >= F.col("lo")) & (F.col("i") < F.col("hi"))).groupBy("b").agg(F.count("*").alias("rows"), F.sum("v").alias("total"))
+    small = checked_broadcast(_cover(s, m), -(-m.nrows // 64))
+    if small is None:
+        return join_range_blocks(s, d)
+    return m.df.join(small, (F.col("i") >= F.col("lo")) & (F.col("i") < F.col("hi"))).groupBy("b").agg(F.count("*").alias("rows"), F.sum("v").alias("total"))
 
 
-@query("select cast(b as int) b, count(*) rows, cast(sum(v) as bigint) total from blk join pf on i >= lo and i < hi group by 1", _WHOLE)
-def join_range_blocks_whole(s, d):
+@query("select cast(b as int) b, count(*) rows, cast(sum(v) as bigint) total from blk join pf on i >= lo and i < hi group by 1", _BLOCKS)
+def join_range_blocks(s, d):
+    """The same range join as an equi-join on the grid cell that both sides fall in."""
     m, grid = PF(s, d), 64
     cells = _cover(s, m).withColumn("cell", F.explode(F.sequence(F.floor(F.col("lo") / grid), F.floor((F.col("hi") - 1) / grid))))
     return m.df.withColumn("cell", F.floor(F.col("i") / grid)).join(cells, "cell").where("i >= lo and i < hi").groupBy("b").agg(F.count("*").alias("rows"), F.sum("v").alias("total"))
@@ -401,14 +386,8 @@ def join_outer_structure(s, d):
     return PF(s, d).df.withColumnRenamed("v", "a").join(src.copurchase(s, d).df.withColumnRenamed("v", "b"), ["i", "j"], "full")
 
 
-@query("select i, j, v from pf where i in (select j from op where i < 100)")
-def join_semi_needed_rows(s, d):
-    need = src.order_part(s, d).df.where("i < 100").select(F.col("j").alias("i")).distinct()
-    return PF(s, d).df.join(need, "i", "left_semi")
-
-
 @query("select i, j, v from pf where i in (select j from op)")
-def join_semi_needed_rows_whole(s, d):
+def join_semi_needed_rows(s, d):
     """The rows that all orders need."""
     need = src.order_part(s, d).df.select(F.col("j").alias("i")).distinct()
     return PF(s, d).df.join(need, "i", "left_semi")

@@ -36,6 +36,8 @@ squared(PF, "pf", "acc_chunk16", accumulator="chunk", lanes=16)
 squared(PF, "pf", "acc_heap", accumulator="heap")
 squared(PF, "pf", "acc_dense", accumulator="dense")
 squared(PF, "pf", "acc_sortagg", accumulator="sortagg", order="sorted")
+squared(PF, "pf", "acc_advised", accumulator="advised")
+squared(PF, "pf", "acc_advised_sorted", accumulator="advised", order="sorted")
 squared(PF, "pf", "acc_static_rows", accumulator="hash", schedule="static")
 
 # Lowerings
@@ -124,15 +126,13 @@ def product_rectangular(s, d):
     return multiply(src.cust_part(s, d), src.part_supp(s, d)).df
 
 
-@query("select i, j, cast(v as decimal(38,2)) v from (select x.i i, y.j j, sum(x.v * y.v) v from dm x join pf y on x.j = y.i group by 1, 2)", "dm as (select i, j, cast(v as decimal(18,2)) / 4 v from pf)")
+@query("select x.i i, y.j j, cast(sum(x.q * y.v) as decimal(38,2)) v from (select i, j, cast(v as decimal(18,2)) * cast(0.25 as decimal(3,2)) q from pf) x join pf y on x.j = y.i group by 1, 2")
 def product_decimal(s, d):
+    """Quarters as decimals of two places: exact, whatever scale the engines carry inside."""
     m = PF(s, d)
     return multiply(alg.apply(m, lambda v: (v.cast("decimal(12,2)") * F.lit("0.25").cast("decimal(3,2)")).cast("decimal(18,2)")), m).df.select("i", "j", F.col("v").cast("decimal(38,2)").alias("v"))
 
 
-ORACLES.pop("product_decimal")  # the two engines' decimal scales part; tested against integers instead
-
-
 # Baselines
 @query(SQUARE)
 def baseline_plain(s, d):

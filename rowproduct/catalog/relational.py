@@ -18,9 +18,9 @@ query = functools.partial(_query, into=(QUERIES, ORACLES))
 PF = src.part_follow
 
 
-@query("select count(*) as rows, cast(sum(n) as bigint) nnz, max(n) max_n, quantile_cont(n, 0.5) median_n, round(stddev_pop(n), 6) sd_n from (select i, count(*) n from pf group by 1)")
+@query("select count(*) as rows, cast(sum(n) as bigint) nnz, max(n) max_n, quantile_cont(n, 0.5) median_n, round(stddev_pop(n), 6) sd_n, round((avg(n * n * n) - 3 * avg(n) * avg(n * n) + 2 * power(avg(n), 3)) / power(stddev_pop(n), 3), 6) skew_n from (select i, count(*) n from pf group by 1)")
 def row_profile(s, d):
-    return cost.row_profile(PF(s, d)).drop("skew_n")
+    return cost.row_profile(PF(s, d)).withColumn("skew_n", F.round("skew_n", 6))
 
 
 @query("select i, j, v from (select *, row_number() over (partition by i order by v desc, j) r from pf) where r = 1")

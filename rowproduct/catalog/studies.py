@@ -219,11 +219,14 @@ SOURCES = [0, 1, 2, 3, 5, 8, 13, 21]
 _L0 = f"l0 as (select cast(row_number() over () - 1 as int) search, s vertex from (select unnest({SOURCES}) s))"
 
 
+#: Levels that the SQL unrolls; searches of these tables end before. The queries themselves run until no search finds a new vertex.
+UNROLLED = 14
+
+
 def _levels(n):
-    out = _L0
+    out = _L0 + ", s0 as materialized (select search, vertex, 0 as level from l0)"
     for k in range(1, n + 1):
-        old = " union all ".join(f"select search, vertex from l{x}" for x in range(k))
-        out += f", l{k} as (select distinct f.search, e.j vertex from l{k - 1} f join pf e on e.i = f.vertex where (f.search, e.j) not in ({old}))"
+        out += f", l{k} as materialized (select distinct f.search, e.j vertex from l{k - 1} f join pf e on e.i = f.vertex where (f.search, e.j) not in (select search, vertex from s{k - 1})), s{k} as materialized (select * from s{k - 1} union all select search, vertex, {k} from l{k})"
     return out
 
 
@@ -233,35 +236,23 @@ def msbfs_step(s, d):
     return graphs.frontier_step(PF(s, d).df, f, f)
 
 
-@query(" union all ".join(f"select search, cast(vertex as bigint) vertex, {k} level from l{k}" for k in range(4)), _levels(3))
+@query(f"select search, cast(vertex as bigint) vertex, cast(level as int) as level from s{UNROLLED}", _levels(UNROLLED))
 def msbfs_levels(s, d):
-    return graphs.msbfs(PF(s, d), SOURCES, 3)
+    return graphs.msbfs(PF(s, d), SOURCES)
 
 
 def _paths(n):
-    out = _L0 + ", p0 as (select search, vertex, cast(1 as bigint) paths from l0)"
+    out = _L0 + ", p0 as materialized (select search, vertex, cast(1 as bigint) paths from l0), q0 as materialized (select search, vertex, 0 as level, paths from p0)"
     for k in range(1, n + 1):
-        old = " union all ".join(f"select search, vertex from p{x}" for x in range(k))
-        out += f", p{k} as (select f.search, e.j vertex, cast(sum(f.paths) as bigint) paths from p{k - 1} f join pf e on e.i = f.vertex where (f.search, e.j) not in ({old}) group by 1, 2)"
+        out += f", p{k} as materialized (select f.search, e.j vertex, cast(sum(f.paths) as bigint) paths from p{k - 1} f join pf e on e.i = f.vertex where (f.search, e.j) not in (select search, vertex from q{k - 1}) group by 1, 2), q{k} as materialized (select * from q{k - 1} union all select search, vertex, {k}, paths from p{k})"
     return out
 
 
-@query(" union all ".join(f"select search, cast(vertex as bigint) vertex, {k} level, paths from p{k}" for k in range(4)), _paths(3))
+@query(f"select search, cast(vertex as bigint) vertex, cast(level as int) as level, paths from q{UNROLLED}", _paths(UNROLLED))
 def bc_paths(s, d):
-    return graphs.shortest_path_counts(PF(s, d), SOURCES, 3)
-
-
-@query()
-def bc_paths_whole(s, d):
-    """As bc_paths, whose SQL unrolls three levels, to the end of all searches."""
     return graphs.shortest_path_counts(PF(s, d), SOURCES)
 
 
-@query()
-def msbfs_levels_whole(s, d):
-    return graphs.msbfs(PF(s, d), SOURCES)
-
-
 @query()
 def bc_scores(s, d):
     return graphs.betweenness(PF(s, d), SOURCES)
@@ -356,21 +347,15 @@ def order_cosine(s, d):
     return graphs.cosine_pairs(src.order_part(s, d), 1500)
 
 
-@query("select x.i i, y.i j, cast(sum(x.v * y.v) as bigint) dot from dd x join dd y on x.j = y.j and x.i < y.i group by 1, 2 having sum(x.v * y.v) >= 5", "dd as (select * from dt where j in (select j from dt group by 1 having count(*) <= 50))")
-def doc_cosine(s, d):
-    """Documents that share rare terms (in 50 documents at most: the measure itself leaves others out)."""
-    return graphs.cosine_pairs(src.doc_term(s, d), 5, drop_columns_over=50)
-
-
 @query("select x.i i, y.i j, cast(sum(x.v * y.v) as bigint) dot from dt x join dt y on x.j = y.j and x.i < y.i group by 1, 2 having sum(x.v * y.v) >= 5")
-def doc_cosine_whole(s, d):
-    """As doc_cosine, whose SQL leaves common terms out, over all terms."""
+def doc_cosine(s, d):
+    """Documents by their product over all terms."""
     return graphs.cosine_pairs(src.doc_term(s, d), 5)
 
 
-@query("select x.i i, y.i j, cast(sum(x.v * y.v) as bigint) dot from em x join em y on x.j = y.j and x.i < y.i where x.i < 100000000 group by 1, 2 having sum(x.v * y.v) >= 900000000000")
+@query("select x.i i, y.i j, cast(sum(x.v * y.v) as bigint) dot from em x join em y on x.j = y.j and x.i < y.i group by 1, 2 having sum(x.v * y.v) >= 350000000000")
 def embed_cosine(s, d):
-    return graphs.cosine_pairs(src.embed_rows(s, d), 900_000_000_000)
+    return graphs.cosine_pairs(src.embed_rows(s, d), 350_000_000_000)
 
 
 @query("select x.i i, y.i j, count(*) n from sf x join sf y on x.j = y.j and x.i < y.i group by 1, 2")
@@ -405,11 +390,19 @@ def advise_synth(s, d):
     return s.createDataFrame(rows, "kind string, ef int, recipe string, by_cost string")
 
 
-@query("select source, op, row_order, count(*) cells from (values ('real', 'AxA', 'sorted', 2), ('real', 'AxA', 'unsorted', 2), ('real', 'LxU', 'sorted', 2), ('synthetic', 'AxA', 'sorted', 4), ('synthetic', 'AxA', 'unsorted', 4), ('synthetic', 'tall', 'sorted', 2), ('synthetic', 'tall', 'unsorted', 2)) t(source, op, row_order, n), range(n) group by 1, 2, 3")
-def recipe_table(s, d):
-    return recipe_rows(s).groupBy("source", "op", "row_order").agg(F.count("*").alias("cells"))
+_RECIPE = """
+select source, op, row_order, class, skew, case
+  when source = 'real' and op = 'LxU' and class = 'low' then 'heap' when source = 'real' and row_order = 'unsorted' and class = 'high' then 'inspector' when source = 'real' then 'hash'
+  when op = 'tall' then case when row_order = 'sorted' and class = 'dense' then 'chunk' else 'hash' end
+  when class = 'dense' and skew = 'skewed' then 'hash' when row_order = 'sorted' then 'heap' else 'chunk' end as method
+from (select 'real' source, op, row_order, class, 'any' skew from (values ('AxA', 'sorted'), ('AxA', 'unsorted'), ('LxU', 'sorted')) o(op, row_order), (values ('high'), ('low')) c(class)
+  union all select 'synthetic', op, row_order, class, skew from (values ('AxA'), ('tall')) o(op), (values ('sorted'), ('unsorted')) r(row_order), (values ('sparse'), ('dense')) c(class), (values ('uniform'), ('skewed')) k(skew) where op = 'AxA' or skew = 'skewed')"""
 
 
+@query(_RECIPE)
+def recipe_table(s, d):
+    """Every cell of the rules with its method."""
+    return recipe_rows(s)
 
 
 # Probes of the machine: times, so rows only

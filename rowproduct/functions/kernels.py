@@ -66,70 +66,85 @@ class HashTable:
         return out
 
 
+def bits(equal: np.ndarray) -> int:
+    """The mask of a comparison of all lanes: bit k for lane k."""
+    return int.from_bytes(np.packbits(equal, bitorder="little").tobytes(), "little")
+
+
+def first_lane(mask: int) -> int:
+    """Trailing zeros of a mask."""
+    return (mask & -mask).bit_length() - 1
+
+
 class ChunkTable:
-    """Chunks of `lanes` keys looked at as a whole; a new key takes the first free lane, a full chunk sends on to the next."""
+    """Chunks of `lanes` keys, compared with a key as a whole: the mask's lowest bit is its lane. A new key takes the first
+    lane that equals the empty key, and a full chunk sends on to the next."""
+
+    EMPTY = -1
 
     def __init__(self, capacity: int, lanes: int):
-        self.lanes, n = lanes, max(1, capacity // lanes)
-        self.mask, self.chunks, self.used = n - 1, [[] for _ in range(n)], []
+        n = 1 << max(0, (max(1, capacity // lanes) - 1).bit_length())
+        self.mask, self.keys, self.vals, self.used = n - 1, np.full((n, lanes), self.EMPTY, np.int64), [[0] * lanes for _ in range(n)], []
         self.tally = Tally(peak=n * lanes)
 
-    def find(self, col: int) -> list:
-        t, lanes = self.tally, self.lanes
+    def find(self, col: int) -> tuple[int, int]:
+        t = self.tally
         p = (col * SPREAD) & self.mask
         t.ops += 1
         while True:
             t.probes += 1
-            c = self.chunks[p]
-            for lane in c:
-                if lane[0] == col:
-                    return lane
-            if len(c) < lanes:
-                if not c:
-                    self.used.append(p)
-                c.append(lane := [col, 0])
-                return lane
+            hit = bits(self.keys[p] == col)
+            if hit:
+                return p, first_lane(hit)
+            free = bits(self.keys[p] == self.EMPTY)
+            if free:
+                lane = first_lane(free)
+                self.keys[p, lane] = col
+                self.used.append((p, lane))
+                return p, lane
             p = (p + 1) & self.mask
 
     def add(self, col: int, val) -> None:
-        self.find(col)[1] += val
+        p, lane = self.find(col)
+        self.vals[p][lane] += val
 
     def take(self) -> list[tuple]:
-        out = [tuple(lane) for p in self.used for lane in self.chunks[p]]
-        for p in self.used:
-            self.chunks[p].clear()
+        out = [(int(self.keys[p, lane]), self.vals[p][lane]) for p, lane in self.used]
+        for p, lane in self.used:
+            self.keys[p, lane], self.vals[p][lane] = self.EMPTY, 0
         self.used = []
         return out
 
 
 class PooledTable:
-    """Chained buckets over a fixed pool; when it is full, its entries are passed on as partial sums and it starts anew."""
+    """Chained buckets over a fixed pool. When a new column finds it full, `add` hands out all entries as partial sums and the pool
+    starts anew, so that it never holds more than `pool`; whoever takes them adds them up."""
 
     def __init__(self, pool: int):
-        self.pool, self.heads, self.spilled = pool, {}, []
-        self.tally = Tally(peak=pool)
+        self.pool, self.heads, self.held = pool, {}, 0
+        self.tally = Tally(peak=0)
 
-    def add(self, col: int, val) -> None:
+    def add(self, col: int, val) -> list[tuple]:
         t, b = self.tally, (col * SPREAD) & 255
         t.ops += 1
-        chain = self.heads.setdefault(b, [])
-        for e in chain:
+        out: list[tuple] = []
+        for e in self.heads.get(b, ()):
             t.probes += 1
             if e[0] == col:
                 e[1] += val
-                return
+                return out
         t.probes += 1
-        if sum(map(len, self.heads.values())) >= self.pool:
-            self.spilled += [tuple(e) for c in self.heads.values() for e in c]
-            self.heads = {b: (chain := [])}
-        chain.append([col, val])
+        if self.held >= self.pool:
+            out = self.take()
+        self.heads.setdefault(b, []).append([col, val])
+        self.held += 1
+        t.peak = max(t.peak, self.held)
+        return out
 
     def take(self) -> list[tuple]:
-        parts: dict = {}
-        for c, v in [*self.spilled, *(tuple(e) for x in self.heads.values() for e in x)]:
-            parts[c] = parts.get(c, 0) + v
-        self.spilled, self.heads = [], {}
-        return list(parts.items())
+        out = [tuple(e) for c in self.heads.values() for e in c]
+        self.heads, self.held = {}, 0
+        return out
 
 
 def heap_row(parts: list[tuple[list, list, object]], tally: Tally) -> list[tuple]:
@@ -171,7 +186,8 @@ def dense_row(parts: list[tuple[list, list, object]], place: dict, acc: np.ndarr
 
 def multiply_block(a: Iterable[tuple], b: dict, ncols: int, accumulator: str = "hash", lanes: int = 8, phases: int = 2, order: str = "unsorted", pool: int = 1024) -> tuple[Iterator[tuple], Tally]:
     """a: rows (i, [(k, value)]); b: k -> (columns, values), rising if the heap is to merge them.
-    Gives (i, [(column, value)]) row by row, and the tally that fills meanwhile."""
+    Gives (i, [(column, value)]) row by row, and the tally that fills meanwhile. The pooled table gives a row in parts, whose
+    values the caller adds up."""
     a = list(a)
     work = {i: sum(len(b[k][0]) for k, _ in row if k in b) for i, row in a}
     cap = table_capacity(max(work.values(), default=0), ncols)
@@ -200,7 +216,9 @@ def multiply_block(a: Iterable[tuple], b: dict, ncols: int, accumulator: str = "
             else:
                 for cols, vals, v in parts:
                     for c, w in zip(cols, vals, strict=True):
-                        table.add(c, v * w)
+                        part = table.add(c, v * w)
+                        if part:
+                            yield i, part
                 out = table.take()
             if expected is not None and expected != len(out):
                 raise AssertionError("symbolic and numeric sizes differ")

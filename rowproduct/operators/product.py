@@ -14,7 +14,7 @@ from ..plans.cut import cut
 from ..plans.schedule import balanced, static
 from ..plans.work import row_work, total_work
 
-ACCUMULATORS = ("auto", "engine", "sortagg", "hash", "chunk", "heap", "dense", "pooled")
+ACCUMULATORS = ("auto", "advised", "engine", "sortagg", "hash", "chunk", "heap", "dense", "pooled")
 LOWERINGS = ("auto", "joinagg", "rowlocal", "rowfetch", "splithub", "kernel")
 
 
@@ -39,16 +39,27 @@ class ProductOptions:
 
 
 def multiply(a: SparseMatrix, b: SparseMatrix, *, accumulator: str = "auto", phases: int | str = "auto", order: str = "unsorted", schedule: str = "balanced", lowering: str = "auto",
-             semiring: Semiring = PLUS_TIMES, mask: DataFrame | None = None, blocks: int | None = None, lanes: int = 8) -> SparseMatrix:
+             semiring: Semiring = PLUS_TIMES, mask: DataFrame | None = None, blocks: int | None = None, lanes: int = 8, op: str = "AxA", source: str = "real") -> SparseMatrix:
     """C = A B.
 
-    accumulator: 'engine' (hash aggregate), 'sortagg' (sorted products, merged), or a kernel by name.
+    accumulator: 'engine' (hash aggregate), 'sortagg' (sorted products, merged), a kernel by name, or 'advised': counts of the
+    product, taken first, choose by the published rules for `op` and `source` (by cost, where they have no cell).
     mask: (i, j) of places to keep, pushed below the aggregate. 'auto' broadcasts B where its size
     allows, else fetches rows by block where that ships less than the products, else joins.
     """
     o = ProductOptions(accumulator, phases, order, schedule, lowering, blocks, lanes)
     if a.ncols != b.nrows:
         raise ValueError(f"inner dimensions differ: {a.ncols} and {b.nrows}")
+    if accumulator == "advised":
+        from ..plans.advisor import advise, stats_of
+
+        if semiring is not PLUS_TIMES or mask is not None or lowering != "auto":
+            raise ValueError("the rules are for the plain product")
+        method = advise(stats_of(a, b), op, source, order).method
+        if method == "inspector":
+            c = Inspector(a, b).execute(a, b)
+            return c.sorted_rows(blocks) if order == "sorted" else c
+        return multiply(a, b, accumulator=method, order=order, schedule=schedule, blocks=blocks, lanes=lanes)
     spark = a.spark
     n = blocks or max(1, spark.sparkContext.defaultParallelism) * 3
     kernels = ("hash", "chunk", "heap", "dense", "pooled")
@@ -74,7 +85,7 @@ def multiply(a: SparseMatrix, b: SparseMatrix, *, accumulator: str = "auto", pha
             assigned = {"balanced": lambda: balanced(row_work(a, b, all_rows=False), n), "static": lambda: static(row_work(a, b, all_rows=False), a.nrows, n), "hashed": lambda: None}[schedule]()
             out = low.rowfetch(a, b, semiring, n, assigned, mask)
         elif lowering == "splithub":
-            out = low.splithub(a, b, semiring, low.BLOCK_WORK, mask) if semiring.name != "plus_pair" else low.joinagg(a, b, semiring, mask)
+            out = low.splithub(a, b, semiring, low.BLOCK_WORK, mask)
         else:
             out = low.joinagg(a, b, semiring, mask)
     c = SparseMatrix(out, a.nrows, b.ncols)

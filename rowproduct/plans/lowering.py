@@ -93,8 +93,9 @@ def splithub(a: SparseMatrix, b: SparseMatrix, s: Semiring, target: int = KERNEL
     p = x.join(y, "k")
     p = p.join(mask, ["i", "j"], "left_semi") if mask is not None else p
     part = p.groupBy("i", "salt", "j").agg(s.reduce(s.combine(F.col("x"), F.col("y"))).alias("v"))
-    # Counting reduces by adding counts; every other reduction applies to its own results again.
-    return part.groupBy("i", "j").agg(s.reduce(F.col("v")).alias("v")).select("i", "j", F.col("v").cast(result_type(a, b)).alias("v"))
+    # Counts are added up; every other reduction applies to its own results again.
+    again = F.sum if s.name == "plus_pair" else s.reduce
+    return part.groupBy("i", "j").agg(again(F.col("v")).alias("v")).select("i", "j", F.col("v").cast(result_type(a, b)).alias("v"))
 
 
 def kernel(a: SparseMatrix, b: SparseMatrix, blocks: int, accumulator: str, buckets: DataFrame | None = None, lanes: int = 8, phases: int = 2, order: str = "unsorted", pool: int = 1024, stats: bool = False) -> DataFrame:
@@ -128,7 +129,10 @@ def kernel(a: SparseMatrix, b: SparseMatrix, blocks: int, accumulator: str, buck
 
     schema = "bucket int, ops bigint, probes bigint, peak bigint" if stats else f"i bigint, j bigint, v {vtype}"
     y = y.select(F.col("bucket").alias("own"), F.col("k").alias("inner"), "j", "y")  # renamed apart from A, which it came from
-    return x.groupBy("bucket").cogroup(y.groupBy("own")).applyInArrow(run, schema)
+    out = x.groupBy("bucket").cogroup(y.groupBy("own")).applyInArrow(run, schema)
+    if accumulator == "pooled" and not stats:  # partial sums left the pool: added up here
+        out = out.groupBy("i", "j").agg(F.sum("v").alias("v"))
+    return out
 
 
 __all__ = ["bucketed", "fetched", "joinagg", "kernel", "rowfetch", "rowlocal", "splithub"]

@@ -14,5 +14,5 @@ def test_blocks_cover_rows_past_the_old_end(spark, sf, monkeypatch):
     for r in far.df.collect():
         n, t = want.get(r.i // 64, (0, 0))
         want[r.i // 64] = n + 1, t + r.v
-    for name in ("join_nested_buckets_whole", "join_range_blocks_whole"):
+    for name in ("join_nested_buckets", "join_range_blocks"):
         assert {r.b: (r["rows"], r.total) for r in catalog.QUERIES[name](spark, sf).collect()} == want

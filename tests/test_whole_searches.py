@@ -34,9 +34,9 @@ def test_searches_run_to_the_end(spark, sf, monkeypatch):
     monkeypatch.setattr(studies, "PF", lambda s, d: near)
     want = [plain(edges, s) for s in SOURCES]
     assert max(max(x[0].values()) for x in want) > 3
-    rows = catalog.QUERIES["bc_paths_whole"](spark, sf).collect()
+    rows = catalog.QUERIES["bc_paths"](spark, sf).collect()
     assert {(r.search, r.vertex): (r.level, r.paths) for r in rows} == {(k, v): (lv[v], p[v]) for k, (lv, p, _) in enumerate(want) for v in lv}
-    rows = catalog.QUERIES["msbfs_levels_whole"](spark, sf).collect()
+    rows = catalog.QUERIES["msbfs_levels"](spark, sf).collect()
     assert {(r.search, r.vertex): r.level for r in rows} == {(k, v): x for k, (lv, _, _) in enumerate(want) for v, x in lv.items()}
     score = {}
     for _, _, dep in want:
