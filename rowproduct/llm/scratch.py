@@ -12,7 +12,7 @@ _WRITTEN: list[tuple[SparkSession, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's spark.checkpoint.dir; a new local folder only where that is unset (tests)."""
+    """The cluster's spark.checkpoint.dir; a new local folder only where that is unset and all runs in one process (tests)."""
     sc = spark.sparkContext
     base = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
     if base:
@@ -20,6 +20,8 @@ def shared_dir(spark: SparkSession) -> str:
             sc.setCheckpointDir(base)
         return base
     if sc.getCheckpointDir() is None:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="rowproduct-"))
     return sc.getCheckpointDir()
 
