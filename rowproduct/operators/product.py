@@ -11,7 +11,7 @@ from ..functions.semiring import PLUS_TIMES, Semiring
 from ..matrix import SparseMatrix
 from ..plans import lowering as low
 from ..plans.cut import cut
-from ..plans.schedule import balanced, static
+from ..plans.schedule import balanced, block_starts, place_of, static_block
 from ..plans.work import row_work, total_work
 
 ACCUMULATORS = ("auto", "advised", "engine", "sortagg", "hash", "chunk", "heap", "dense", "pooled")
@@ -38,6 +38,18 @@ class ProductOptions:
             raise ValueError("the heap works in one phase")
 
 
+def dealing(a: SparseMatrix, b: SparseMatrix, schedule: str, least: int, target: int | None):
+    """What gives a row its block, and how many blocks: more than `least` where `target` work each asks for it."""
+    if schedule == "balanced":
+        rows = row_work(a, b, all_rows=False)
+        starts, n = block_starts(rows, a.nrows, least, target)
+        if starts is None:  # too many blocks for a literal: a table of rows is joined
+            return balanced(rows, n), n
+        return place_of(starts or [0]), n
+    n = max(least, -(-total_work(a, b) // target)) if target else least
+    return (static_block(a.nrows, n) if schedule == "static" else None), n
+
+
 def multiply(a: SparseMatrix, b: SparseMatrix, *, accumulator: str = "auto", phases: int | str = "auto", order: str = "unsorted", schedule: str = "balanced", lowering: str = "auto",
              semiring: Semiring = PLUS_TIMES, mask: DataFrame | None = None, blocks: int | None = None, lanes: int = 8, op: str = "AxA", source: str = "real") -> SparseMatrix:
     """C = A B.
@@ -67,7 +79,7 @@ def multiply(a: SparseMatrix, b: SparseMatrix, *, accumulator: str = "auto", pha
     if accumulator in kernels:
         if semiring is not PLUS_TIMES or mask is not None or lowering not in ("auto", "kernel"):
             raise ValueError("kernels compute the plain product")
-        assigned = {"balanced": lambda: balanced(row_work(a, b, all_rows=False), n), "static": lambda: static(row_work(a, b, all_rows=False), a.nrows, n), "hashed": lambda: None}[schedule]()
+        assigned, n = dealing(a, b, schedule, n, None if blocks else low.KERNEL_WORK)
         two = 1 if accumulator == "heap" else 2 if phases == "auto" else phases
         out = low.kernel(a, b, n, accumulator, assigned, lanes, two, order)
         # A kernel's rows leave in its own order; Spark promises none to a reader but by a sort.
@@ -82,7 +94,7 @@ def multiply(a: SparseMatrix, b: SparseMatrix, *, accumulator: str = "auto", pha
         lowering = "rowfetch" if total_work(a, b) > 4 * b.nnz() else "joinagg"
     if out is None:
         if lowering == "rowfetch":
-            assigned = {"balanced": lambda: balanced(row_work(a, b, all_rows=False), n), "static": lambda: static(row_work(a, b, all_rows=False), a.nrows, n), "hashed": lambda: None}[schedule]()
+            assigned, n = dealing(a, b, schedule, n, None if blocks else low.BLOCK_WORK)
             out = low.rowfetch(a, b, semiring, n, assigned, mask)
         elif lowering == "splithub":
             out = low.splithub(a, b, semiring, low.BLOCK_WORK, mask)

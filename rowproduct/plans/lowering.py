@@ -10,7 +10,7 @@ kernel    rowfetch whose blocks run an accumulator as such, with its counters
 from __future__ import annotations
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.kernels import multiply_block
@@ -62,24 +62,29 @@ def rowlocal(a: SparseMatrix, b: SparseMatrix, s: Semiring, blocks: int, mask: D
     return reduce_products(p, s, result_type(a, b))
 
 
-def bucketed(a: SparseMatrix, blocks: int, buckets: DataFrame | None) -> DataFrame:
-    """A's triples with the block of their row: scheduled (i, bucket), or hashed."""
+def bucketed(a: SparseMatrix, blocks: int, buckets: Column | DataFrame | None) -> DataFrame:
+    """A's triples with the block of their row: an expression of i, scheduled (i, bucket), or hashed."""
     x = a.df.select("i", F.col("j").alias("k"), F.col("v").alias("x"))
     if buckets is None:
-        return x.withColumn("bucket", F.pmod(F.xxhash64("i"), F.lit(blocks)).cast("int"))
+        buckets = F.pmod(F.xxhash64("i"), F.lit(blocks)).cast("int")
+    if isinstance(buckets, Column):
+        return x.withColumn("bucket", buckets)
     return x.join(buckets.select("i", "bucket"), "i")
 
 
 def fetched(x: DataFrame, b: SparseMatrix) -> DataFrame:
-    """(bucket, k, j, y): each B row once for every block that needs it."""
+    """(bucket, k, j, y): each B row once for every block that needs it. Needs are dealt by k, where they
+    lose their repeats and meet B, in one exchange."""
     y = b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("y"))
-    return x.select("bucket", "k").distinct().join(y, "k")
+    return x.select("bucket", "k").repartition("k").distinct().join(y, "k")
 
 
-def rowfetch(a: SparseMatrix, b: SparseMatrix, s: Semiring, blocks: int, buckets: DataFrame | None = None, mask: DataFrame | None = None) -> DataFrame:
+def rowfetch(a: SparseMatrix, b: SparseMatrix, s: Semiring, blocks: int, buckets: Column | DataFrame | None = None, mask: DataFrame | None = None) -> DataFrame:
+    """A block is a partition of its own number: hashing the numbers would put several in one. A block's rows of A,
+    never more than its work, are the hashed side; a broadcast would undo the dealing and exchange products."""
     x = bucketed(a, blocks, buckets)
     y = fetched(x, b)
-    p = x.repartition(blocks, "bucket").join(y.repartition(blocks, "bucket"), ["bucket", "k"])
+    p = y.repartitionById(blocks, "bucket").join(x.repartitionById(blocks, "bucket").hint("shuffle_hash"), ["bucket", "k"])
     p = p.join(mask, ["i", "j"], "left_semi") if mask is not None else p
     return reduce_products(p, s, result_type(a, b), ("bucket", "i", "j"))
 
@@ -98,7 +103,7 @@ def splithub(a: SparseMatrix, b: SparseMatrix, s: Semiring, target: int = KERNEL
     return part.groupBy("i", "j").agg(again(F.col("v")).alias("v")).select("i", "j", F.col("v").cast(result_type(a, b)).alias("v"))
 
 
-def kernel(a: SparseMatrix, b: SparseMatrix, blocks: int, accumulator: str, buckets: DataFrame | None = None, lanes: int = 8, phases: int = 2, order: str = "unsorted", pool: int = 1024, stats: bool = False) -> DataFrame:
+def kernel(a: SparseMatrix, b: SparseMatrix, blocks: int, accumulator: str, buckets: Column | DataFrame | None = None, lanes: int = 8, phases: int = 2, order: str = "unsorted", pool: int = 1024, stats: bool = False) -> DataFrame:
     """Blocks through an accumulator: triples, or with stats (bucket, ops, probes, peak) of each block."""
     x = bucketed(a, blocks, buckets)
     y = fetched(x, b)

@@ -368,3 +368,39 @@ def test_rows_unsorted_input_is_refused(spark):
         require_sorted(rows).collect()
     m = SparseMatrix(spark.createDataFrame([(0, 2, 1), (0, 1, 1)], "i bigint, j bigint, v bigint"), 1, 3)
     assert require_sorted(to_rows(m)).first().cols == [1, 2]
+
+
+def test_block_starts_even_and_opened(spark):
+    """Blocks cover all rows in order; ranges that hold a hub are opened until the bound holds."""
+    import numpy as np
+
+    rng = np.random.default_rng(5)
+    work = [int(x) for x in rng.integers(0, 30, 5000)]
+    work[1234], work[1235], work[4999] = 9000, 8000, 700
+    rows = spark.createDataFrame(list(enumerate(work)), "i bigint, work bigint")
+    for blocks, bins in ((1, 4), (7, 4), (16, 64), (16, 1 << 15)):
+        starts, n = schedule.block_starts(rows, 5000, blocks, None, bins)
+        assert n == blocks and starts == sorted(set(starts)) and starts[0] == 0 and len(starts) <= blocks
+        got = rows.withColumn("bucket", schedule.place_of(starts)).orderBy("i").collect()
+        want = np.searchsorted(starts, np.arange(5000), "right") - 1
+        assert [r.bucket for r in got] == want.tolist()
+        load = np.bincount(want, work)
+        mean = sum(work) / blocks
+        heaviest = [max(work[i] for i in np.flatnonzero(want == k)) for k in range(len(load))]
+        assert all(x <= mean + max(mean / 8, h) + 1 for x, h in zip(load, heaviest, strict=True))
+    assert schedule.block_starts(rows, 5000, 3, 1000)[1] == -(-sum(work) // 1000)
+    assert schedule.block_starts(rows, 5000, 3, 1, most=8)[0] is None
+    assert schedule.block_starts(rows.where("i < 0"), 5000, 3) == ([], 3)
+
+
+def test_rowfetch_exchanges_no_products(spark, sf):
+    """After the join of fetched rows, blocks add up where they are."""
+    import contextlib
+    import io
+
+    m = builders.part_follow(spark, sf)
+    out = io.StringIO()
+    with contextlib.redirect_stdout(out):
+        multiply(m, m, lowering="rowfetch").df.explain()
+    above = out.getvalue().split("ShuffledHashJoin")[0]
+    assert "ShuffledHashJoin" in out.getvalue() and "Exchange" not in above
