@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from ..plans import cost
-from ..plans.work import row_work
+from ..plans.work import number_rows, prefix_sum, row_work
 from ..sources import builders as src
 from ..streaming import increments as inc
 from .matrices import query as _query
@@ -55,8 +55,11 @@ for _name, _sql in (("rollup", "rollup (f, s)"), ("cube", "cube (f, s)"), ("grou
 @query("select i, work, rank() over (order by work desc) rk, dense_rank() over (order by work desc) dr from (select x.i, cast(sum(n) as bigint) work from sf x join (select i, count(*) n from sf group by 1) y on x.j = y.i group by 1)")
 def rank_rows(s, d):
     m = src.supplier_follow(s, d)
-    w = W.partitionBy(F.lit(0)).orderBy(F.desc("work"))
-    return row_work(m, m, all_rows=False).where("work > 0").select("i", "work", F.rank().over(w).cast("bigint").alias("rk"), F.dense_rank().over(w).cast("bigint").alias("dr"))
+    rows = row_work(m, m, all_rows=False).where("work > 0").select("i", "work")
+    # Ranks belong to the different works: a running count over these, not one task's window over all rows.
+    ranks = prefix_sum(rows.groupBy("work").agg(F.count("*").alias("n")).withColumn("down", -F.col("work")), ["down"], "n", "more")
+    ranks = number_rows(ranks, ["down"], "place")
+    return rows.join(ranks.select("work", "more", "place"), "work").select("i", "work", (F.col("more") + 1).alias("rk"), (F.col("place") + 1).alias("dr"))
 
 
 @query("select i, j, v, round(percent_rank() over w, 6) pr, round(cume_dist() over w, 6) cd, ntile(4) over w nt, first_value(j) over w f, last_value(j) over (partition by i order by v, j rows between unbounded preceding and unbounded following) l, nth_value(j, 2) over (partition by i order by v, j rows between unbounded preceding and unbounded following) n2, lag(j) over w pj, lead(j) over w nj from pf window w as (partition by i order by v, j)")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import json
+import os
 import subprocess
 import sys
 import time
@@ -73,11 +75,13 @@ def stanza_probe(spark: SparkSession, run_bytes: int, total_bytes: int = 1 << 26
 
 
 def strong_scaling(script: str, cores: list[int], timeout: int = 600) -> dict[int, float]:
-    """Seconds that a script prints last, under local[k] for each k, each in a process of its own."""
+    """Seconds under local[k] for each k, each in a process of its own: the number, or the JSON line's "value", that a
+    script prints last."""
     out = {}
     for k in cores:
-        got = subprocess.run([sys.executable, script], capture_output=True, text=True, timeout=timeout, env={**__import__("os").environ, "BENCH_CPUS": str(k)})
-        out[k] = float(got.stdout.strip().splitlines()[-1])
+        got = subprocess.run([sys.executable, script], capture_output=True, text=True, timeout=timeout, env={**os.environ, "BENCH_CPUS": str(k)})
+        last = json.loads(got.stdout.strip().splitlines()[-1])
+        out[k] = float(last["value"] if isinstance(last, dict) else last)
     return out
 
 

@@ -404,3 +404,12 @@ def test_rowfetch_exchanges_no_products(spark, sf):
         multiply(m, m, lowering="rowfetch").df.explain()
     above = out.getvalue().split("ShuffledHashJoin")[0]
     assert "ShuffledHashJoin" in out.getvalue() and "Exchange" not in above
+
+
+def test_strong_scaling_reads_both_forms(tmp_path):
+    from rowproduct.study import strong_scaling
+
+    for text, want in (("print(int(__import__('os').environ['BENCH_CPUS']) * 2)", {1: 2.0, 3: 6.0}), ("print('noise'); print('{\"value\": 1.5}')", {1: 1.5, 3: 1.5})):
+        script = tmp_path / "s.py"
+        script.write_text(text)
+        assert strong_scaling(str(script), [1, 3]) == want
