@@ -41,6 +41,16 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def freed(*tables: DataFrame) -> None:
+    """Deletes stored tables that nothing reads any more, and has the driver's JVM look for shuffles that nothing can
+    reach, whose files Spark then deletes: on its own it looks only when memory asks for it."""
+    spark = SparkSession.active()
+    for t in tables:
+        for path in {f.rsplit("/", 1)[0] for f in t.inputFiles()}:
+            remove(spark, path)
+    spark.sparkContext._jvm.System.gc()
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Reliable checkpoint: cleaned with its reference where the session says so."""
     shared_dir(df.sparkSession)
