@@ -45,3 +45,17 @@ def test_blocks_follow_the_work(spark, sf, monkeypatch, run):
 @pytest.mark.parametrize("name", ["clean_triples", "profile_example"])
 def test_given_tables_are_read(spark, sf, name):
     assert catalog.QUERIES[name](spark, sf).inputFiles()
+
+
+def test_row_sizes_by_block(spark, sf, monkeypatch):
+    """Beyond a block's work sizes are counted where the products would lie: none is exchanged."""
+    from rowproduct.operators.product import symbolic
+
+    m = part_follow(spark, sf)
+    want = {r.i: r.nnz for r in symbolic(m, m).collect()}
+    costs = cost.costs(m, m).first()
+    monkeypatch.setattr(lowering, "BLOCK_WORK", 1000)
+    got = symbolic(m, m)
+    assert "FlatMapCoGroupsInArrow" in got._jdf.queryExecution().optimizedPlan().toString()
+    assert {r.i: r.nnz for r in got.collect()} == want
+    assert cost.costs(m, m).first() == costs
