@@ -1,9 +1,8 @@
-"""Products and counts over streams of edges. Files arrive, `availableNow` drains them, a memory
-table is read back; the batch aggregate over the same rows is what each must equal."""
+"""Products and counts over streams of edges. Files arrive, `availableNow` drains them, what was
+written is read back; the batch aggregate over the same rows is what each must equal."""
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -11,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..matrix import SparseMatrix
+from ..plans.cut import new_path, remove
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
@@ -22,12 +22,21 @@ def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def drain(df: DataFrame, mode: str) -> DataFrame:
-    """Runs a stream to its end and gives what it wrote."""
-    spark, name = df.sparkSession, f"stream_{uuid.uuid4().hex}"
-    q = df.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
-    q.awaitTermination()
-    out = spark.table(name)
-    return out
+    """Runs a stream to its end and gives what it wrote: files in the folder that all executors share, since a memory table
+    is the driver's. A complete batch takes the place of those before."""
+    spark, out, batches = df.sparkSession, new_path(df.sparkSession, "out"), []
+
+    def keep(batch: DataFrame, n: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/{n}")
+        if mode == "complete":
+            for old in set(batches) - {n}:
+                remove(spark, f"{out}/{old}")
+            batches.clear()
+        batches.append(n)
+
+    w = df.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", new_path(spark, "state"))
+    w.trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(*[f"{out}/{n}" for n in sorted(set(batches))]) if batches else spark.createDataFrame([], df.schema)
 
 
 def product_increment(edges: DataFrame, b: SparseMatrix) -> DataFrame:

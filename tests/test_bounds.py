@@ -59,3 +59,10 @@ def test_row_sizes_by_block(spark, sf, monkeypatch):
     assert "FlatMapCoGroupsInArrow" in got._jdf.queryExecution().optimizedPlan().toString()
     assert {r.i: r.nnz for r in got.collect()} == want
     assert cost.costs(m, m).first() == costs
+
+
+@pytest.mark.parametrize("name", ["stream_session", "stream_tumbling"])
+def test_streams_leave_nothing_on_the_driver(spark, sf, name):
+    got = catalog.QUERIES[name](spark, sf)
+    assert got.inputFiles() and not [t for t in spark.catalog.listTables() if t.name.startswith("stream_")]
+    assert got.agg({"n": "sum"}).first()[0] == spark.read.parquet(f"{sf}/events.parquet").count()
