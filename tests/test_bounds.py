@@ -66,3 +66,14 @@ def test_streams_leave_nothing_on_the_driver(spark, sf, name):
     got = catalog.QUERIES[name](spark, sf)
     assert got.inputFiles() and not [t for t in spark.catalog.listTables() if t.name.startswith("stream_")]
     assert got.agg({"n": "sum"}).first()[0] == spark.read.parquet(f"{sf}/events.parquet").count()
+
+
+@pytest.mark.parametrize("name", ["common_neighbours", "mcl_expand", "power3"])
+def test_products_by_block_from_stored_triples(spark, sf, monkeypatch, name):
+    """Where nothing is small enough to broadcast: no product is exchanged, and no factor is made again from its tables."""
+    want = catalog.QUERIES[name](spark, sf).collect()
+    monkeypatch.setattr(lowering, "checked_broadcast", lambda df, rows=None: None)
+    got = catalog.QUERIES[name](spark, sf)
+    assert "lineitem" not in got._jdf.queryExecution().executedPlan().toString()
+    assert "REPARTITION_BY_NUM" in got._jdf.queryExecution().executedPlan().toString() and "bucket" in got._jdf.queryExecution().executedPlan().toString()
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want))
