@@ -35,27 +35,31 @@ def rate(work: int, seconds: float) -> float:
     return work / seconds
 
 
-def schedule_probe(spark: SparkSession, iterations: int, policy: str, workers: int) -> float:
-    """Seconds for an empty loop cut by a policy, a task for each chunk."""
+def schedule_probe(rows: DataFrame, policy: str, workers: int) -> float:
+    """Seconds for an empty loop over the rows of a table (one bigint column), cut by a policy, a task for each chunk."""
+    iterations = rows.count()
     n = workers if policy == "static" else len(chunks(iterations, workers, policy, max(1, iterations // 256)))
-    return timed(lambda: spark.range(0, iterations, 1, n).where("id < 0"), 3)
+    return timed(lambda: rows.repartition(max(1, n)).where("spark_partition_id() < 0"), 3)
 
 
-def alloc_probe(spark: SparkSession, total_bytes: int, tasks: int, mode: str) -> DataFrame:
-    """(task, bytes, touch_s, free_s): one buffer in one task ('single') or equal private ones ('parallel')."""
-    n = 1 if mode == "single" else tasks
+def alloc_probe(rows: DataFrame, tasks: int) -> DataFrame:
+    """(task, bytes, touch_s, free_s): the values of a table's bigint column in one buffer of one task, or in private ones of
+    several, each filled by its task and let go."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for task in b.column(0).to_pylist():
-                t = time.perf_counter()
-                x = np.empty(total_bytes // n, np.uint8)
-                x[::4096] = 1
-                u = time.perf_counter()
-                del x
-                yield pa.RecordBatch.from_pylist([{"task": task, "bytes": total_bytes // n, "touch_s": u - t, "free_s": time.perf_counter() - u}])
-
-    return spark.range(0, n, 1, n).mapInArrow(run, "task bigint, bytes bigint, touch_s double, free_s double")
+        from pyspark import TaskContext
+
+        parts = [b.column(0).to_numpy(zero_copy_only=False) for b in batches]
+        t, at = time.perf_counter(), 0
+        x = np.empty(sum(map(len, parts)), np.int64)
+        for p in parts:
+            x[at : at + len(p)] = p
+            at += len(p)
+        u, size = time.perf_counter(), x.nbytes
+        del x
+        yield pa.RecordBatch.from_pylist([{"task": TaskContext.get().partitionId(), "bytes": size, "touch_s": u - t, "free_s": time.perf_counter() - u}])
+
+    return rows.repartition(tasks).mapInArrow(run, "task bigint, bytes bigint, touch_s double, free_s double")
 
 
 def stanza_probe(spark: SparkSession, run_bytes: int, total_bytes: int = 1 << 26, seed: int = 1) -> DataFrame:

@@ -77,3 +77,23 @@ def test_products_by_block_from_stored_triples(spark, sf, monkeypatch, name):
     assert "lineitem" not in got._jdf.queryExecution().executedPlan().toString()
     assert "REPARTITION_BY_NUM" in got._jdf.queryExecution().executedPlan().toString() and "bucket" in got._jdf.queryExecution().executedPlan().toString()
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want))
+
+
+NO_TABLE = {"advise_synth": "events", "alloc_probe": "events", "heap_ablation": "events", "recipe_table": "lineitem", "scan_synth": "events", "schedule_probe": "events", "square_density": "events"}
+
+
+@pytest.mark.parametrize("name", sorted(NO_TABLE))
+def test_probes_and_generated_matrices_read_tables(spark, sf, tmp_path, name):
+    """Without the table they must fail; with all of it they must account for its rows."""
+    import os
+
+    for f in os.listdir(sf):
+        if f != f"{NO_TABLE[name]}.parquet":
+            (tmp_path / f).symlink_to(f"{sf}/{f}")
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        catalog.QUERIES[name](spark, str(tmp_path)).collect()
+    rows = spark.read.parquet(f"{sf}/events.parquet").count()
+    if name == "scan_synth":
+        assert catalog.QUERIES[name](spark, sf).agg({"v": "sum"}).first()[0] == rows
+    if name == "alloc_probe":
+        assert {r["mode"]: r["b"] for r in catalog.QUERIES[name](spark, sf).groupBy("mode").agg({"bytes": "sum"}).toDF("mode", "b").collect()} == {"single": 8 * rows, "parallel": 8 * rows}
