@@ -97,3 +97,37 @@ def test_probes_and_generated_matrices_read_tables(spark, sf, tmp_path, name):
         assert catalog.QUERIES[name](spark, sf).agg({"v": "sum"}).first()[0] == rows
     if name == "alloc_probe":
         assert {r["mode"]: r["b"] for r in catalog.QUERIES[name](spark, sf).groupBy("mode").agg({"bytes": "sum"}).toDF("mode", "b").collect()} == {"single": 8 * rows, "parallel": 8 * rows}
+
+
+def _pairs(df):
+    return sorted(map(tuple, df.collect()))
+
+
+@pytest.mark.parametrize("name", ["doc_cosine", "embed_cosine"])
+def test_pairs_of_rows_by_block(spark, sf, monkeypatch, name):
+    """Where columns make as many products as there are pairs: blocks of rows meet by twos, and no product is exchanged."""
+    from rowproduct.operators import graphs
+
+    want = _pairs(catalog.QUERIES[name](spark, sf))
+    monkeypatch.setattr(lowering, "BLOCK_WORK", 1000)
+    monkeypatch.setattr(graphs, "PAIR_ROWS", 30)
+    got = catalog.QUERIES[name](spark, sf)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "CartesianProduct" in plan and "Aggregate" not in plan and not {"documents", "embeddings"} & set(plan.replace("/", " ").replace(".", " ").split())
+    assert _pairs(got) == want and (want or name == "embed_cosine")
+
+
+@pytest.mark.parametrize("least", [-3, 0, 4])
+@pytest.mark.parametrize("big", [1, 1 << 24, 1 << 28])
+def test_pairs_of_rows_by_block_are_exact(spark, monkeypatch, least, big):
+    """Negative values, repeated places, products that cancel, sums past what doubles and partial sums past what integers hold."""
+    from rowproduct.matrix import SparseMatrix
+    from rowproduct.operators import graphs
+
+    t = [(i, k, ((i * 7 + k * 5) % 11 - 5) * big) for i in range(40) for k in range(9) if (i + k) % 3 or k == i % 9] + [(3, 1, big), (3, 1, -big), (50, 77, big)]
+    m = SparseMatrix(spark.createDataFrame(t, "i bigint, j bigint, v bigint"), 100, 100)
+    want = _pairs(graphs.cosine_pairs(m, least * big))
+    monkeypatch.setattr(graphs, "PAIR_ROWS", 11)
+    for width in (1, 1 / 128):  # columns laid out one by one, or nearly all in dense arrays
+        monkeypatch.setattr("rowproduct.functions.blocks.DENSE", width)
+        assert _pairs(graphs.block_pairs(m, least * big, 41, len(t))) == want
