@@ -131,3 +131,33 @@ def test_pairs_of_rows_by_block_are_exact(spark, monkeypatch, least, big):
     for width in (1, 1 / 128):  # columns laid out one by one, or nearly all in dense arrays
         monkeypatch.setattr("rowproduct.functions.blocks.DENSE", width)
         assert _pairs(graphs.block_pairs(m, least * big, 41, len(t))) == want
+
+
+@pytest.mark.parametrize("name", ["tri_count", "tri_count_copurchase"])
+def test_triangles_by_block(spark, sf, monkeypatch, name):
+    """Beyond a block's work paths are counted where they are made, and none is exchanged; the count stays."""
+    from rowproduct.operators import graphs
+
+    want = catalog.QUERIES[name](spark, sf).collect()
+    real, plans = graphs.triangles_by_block, []
+    monkeypatch.setattr(graphs, "triangles_by_block", lambda *a: plans.append(real(*a)) or plans[-1])
+    monkeypatch.setattr(lowering, "BLOCK_WORK", 1000)
+    assert catalog.QUERIES[name](spark, sf).collect() == want and want[0][0] > 0
+    plan = plans[0]._jdf.queryExecution().optimizedPlan().toString()
+    assert "CoGroupsInArrow" in plan and "lineitem" not in plan
+
+
+def test_closed_paths_of_sparse_and_heavy_rows(monkeypatch):
+    import numpy as np
+
+    from rowproduct.functions import blocks
+
+    r = np.random.default_rng(3)
+    for size, edges in ((30, 300), (10_000, 3000)):
+        i, j = np.unique(np.sort(r.integers(0, size, (edges, 2)) * 10**12, 1), axis=0).T
+        i, j = i[i != j], j[i != j]
+        have = set(zip(i.tolist(), j.tolist(), strict=True))
+        want = sum((a, c) in have for a, b in have for k, c in have if k == b) if size == 30 else len({(a, b, c) for a, b in have for k, c in have if k == b and (a, c) in have})
+        for laid in (7, 1 << 20):
+            monkeypatch.setattr(blocks, "LAID_OUT", laid)
+            assert blocks.closed_paths(i, j, i, j) == want
