@@ -161,3 +161,16 @@ def test_closed_paths_of_sparse_and_heavy_rows(monkeypatch):
         for laid in (7, 1 << 20):
             monkeypatch.setattr(blocks, "LAID_OUT", laid)
             assert blocks.closed_paths(i, j, i, j) == want
+
+
+def test_rows_fetched_for_a_joined_factor(spark, sf, monkeypatch):
+    """A factor that a join makes meets the rows that its blocks fetched; the query's factors are stored first."""
+    from rowproduct.sources.builders import cust_part, part_supp
+
+    a, b = cust_part(spark, sf), part_supp(spark, sf)
+    want = multiply(a, b, lowering="joinagg").df
+    got = multiply(a, b, lowering="rowfetch").df
+    assert same_product(got, want)
+    monkeypatch.setattr(lowering, "checked_broadcast", lambda df, rows=None: None)
+    got = catalog.QUERIES["product_rectangular"](spark, sf)
+    assert "lineitem" not in got._jdf.queryExecution().executedPlan().toString() and same_product(got, want)
