@@ -1,5 +1,7 @@
 """Forms that a size asks for: results stay whole where a broadcast or a fixed number of blocks would not do."""
 
+import pathlib
+
 import pytest
 
 from rowproduct import catalog, multiply
@@ -133,6 +135,56 @@ def test_pairs_of_rows_by_block_are_exact(spark, monkeypatch, least, big):
         assert _pairs(graphs.block_pairs(m, least * big, 41, len(t))) == want
 
 
+def _shuffles(spark):
+    """Ids of the shuffles whose files lie on disk."""
+    import re
+
+    blocks = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllBlocks().mkString(" ")
+    return set(re.findall(r"shuffle_(\d+)_", blocks))
+
+
+def test_pairs_of_rows_leave_only_blocks_on_disk(spark, sf, monkeypatch):
+    """Before pairs are made: the triples and the shuffles behind them are gone, and a block takes less room than its entries' values."""
+    import time
+    from urllib.parse import urlparse
+
+    from rowproduct.operators import graphs
+    from rowproduct.plans import cut
+    from rowproduct.sources.builders import embed_rows
+
+    monkeypatch.setattr(lowering, "BLOCK_WORK", 1000)
+    monkeypatch.setattr(graphs, "PAIR_ROWS", 1000)
+    written, shuffles, entries = len(cut._WRITTEN), _shuffles(spark), embed_rows(spark, sf).df.count()
+    for name, most in (("embed_cosine", 8 * entries), ("doc_cosine", None)):
+        pairs = catalog.QUERIES[name](spark, sf)
+        triples, blocks = (urlparse(path).path for _, path in cut._WRITTEN[written:])
+        size = sum(f.stat().st_size for f in pathlib.Path(blocks).rglob("*.parquet"))
+        assert not pathlib.Path(triples).exists() and 0 < size and (most is None or size < most)
+        for _ in range(40):  # files are deleted beside what goes on
+            if len(left := _shuffles(spark) - shuffles) < 2:
+                break
+            time.sleep(0.1)
+        assert len(left) < 2, left
+        written = len(cut._WRITTEN)
+        assert pairs.where("i >= j").count() == 0
+
+
+def test_squeezed_blocks_open_as_they_were():
+    import numpy as np
+    import pyarrow as pa
+
+    from rowproduct.functions.blocks import opened, packed, squeezed
+
+    ends = [-(1 << 63), -(1 << 40), -129, -128, -1, 0, 127, 128, 255, 256, 65535, 65536, 1 << 32, (1 << 63) - 1]
+    i, k = (x.ravel() for x in np.meshgrid(np.array(ends), np.array(ends)))
+    for n in range(1, len(ends) + 1):
+        for v in (np.resize(np.array(ends[:n]), len(i)), np.resize(np.array(ends[-n:]), len(i)), np.resize(np.array(ends) / 3, len(i))):
+            for some in (slice(None), slice(0, 1), slice(3, 40, 2)):
+                block = packed(i[some], k[some], v[some])
+                got = opened(pa.py_buffer(squeezed(block)))
+                assert all(np.array_equal(got[c], block[c]) for c in block) and (got["vals"].dtype.kind == "f") == (v.dtype.kind == "f")
+
+
 @pytest.mark.parametrize("name", ["tri_count", "tri_count_copurchase"])
 def test_triangles_by_block(spark, sf, monkeypatch, name):
     """Beyond a block's work paths are counted where they are made, and none is exchanged; the count stays."""
