@@ -65,3 +65,19 @@ def test_values_by_twos(spark, sf, twos):
     odd = SparseMatrix(spark.createDataFrame(t, "i bigint, j bigint, v bigint").groupBy("i", "j").agg({"v": "sum"}).toDF("i", "j", "v"), 50, 50)
     assert not lowering.by_twos(odd, odd, 1 << 40)  # nulls go through joins
     assert symbolic(m, m).count() == cost.row_costs(m, m).count()
+
+
+def test_cost_matrices_leave_nothing(spark, sf):
+    """Each is stored once and deleted before the next but one; follow_sym is made from part_follow's triples."""
+    from pathlib import Path
+    from urllib.parse import urlparse
+
+    from rowproduct.catalog import studies
+    from rowproduct.plans import cut
+
+    written, plans = len(cut._WRITTEN), []
+    for name, m in studies.real_matrices(spark, sf):
+        plans.append(name)
+        assert m.nnz() == studies.src.BUILDERS[name](spark, sf).nnz()
+    left = [path for _, path in cut._WRITTEN[written:] if Path(urlparse(path).path).exists()]
+    assert sorted(plans) == sorted(n for n, _ in studies.REAL) and not left
