@@ -81,3 +81,24 @@ def test_cost_matrices_leave_nothing(spark, sf):
         assert m.nnz() == studies.src.BUILDERS[name](spark, sf).nnz()
     left = [path for _, path in cut._WRITTEN[written:] if Path(urlparse(path).path).exists()]
     assert sorted(plans) == sorted(n for n, _ in studies.REAL) and not left
+
+
+@pytest.mark.parametrize("most", [4, 64, 1 << 22])
+def test_column_heads(spark, most):
+    """Ties by id, columns over several tasks, nulls, NaN: the largest of each column stay."""
+    import random
+
+    from rowproduct.operators import graphs
+
+    rng = random.Random(4)
+    t = [(i, j, rng.randrange(6) / 8) for i in range(60) for j in range(7) if rng.random() < 0.8] + [(70, 1, float("nan")), (None, 2, 0.5), (71, 3, None)]
+    rng.shuffle(t)
+    d = spark.createDataFrame(t, "i bigint, j bigint, p double").repartition(4)
+    got = [tuple(r) for r in graphs.column_heads(d, 3, most).collect()]
+    assert not any(repr(r) not in map(repr, t) for r in got) and len(got) == len(set(map(repr, got)))
+    for j in range(7):
+        want = sorted((r for r in t if r[1] == j and r[0] is not None and r[2] is not None and r[2] == r[2]), key=lambda r: (-r[2], r[0]))[:3]
+        assert set(want) <= set(got)
+    m = SparseMatrix(spark.createDataFrame([r for r in t if None not in r and r[2] == r[2]], "i bigint, j bigint, v double").repartition(4), 80, 7)
+    plan = graphs.inflate(m, 2.0, 3).df._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("MapInArrow") == 1 and "Join" not in plan  # M is made once
