@@ -45,7 +45,7 @@ def test_two_blocks(monkeypatch, laid, big):
     assert not list(blocks.pair_products(x, none)) and not list(blocks.pair_products(none, y)) and not len(blocks.pair_counts(x, none)[0])
 
 
-@pytest.mark.parametrize("name", ["cost_supplier_follow", "cost_by_matrix", "mcl_expand", "mcl_inflate", "mcl_clusters", "power3", "common_neighbours"])
+@pytest.mark.parametrize("name", ["cost_supplier_follow", "cost_by_matrix", "mcl_expand", "mcl_inflate", "mcl_clusters", "power3", "common_neighbours", "baseline_blocks"])
 def test_queries_by_twos(spark, sf, monkeypatch, request, name):
     want = catalog.QUERIES[name](spark, sf).collect()
     real, seen = lowering.met_by_twos, []
@@ -102,3 +102,15 @@ def test_column_heads(spark, most):
     m = SparseMatrix(spark.createDataFrame([r for r in t if None not in r and r[2] == r[2]], "i bigint, j bigint, v double").repartition(4), 80, 7)
     plan = graphs.inflate(m, 2.0, 3).df._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("MapInArrow") == 1 and "Join" not in plan  # M is made once
+
+
+@pytest.mark.parametrize("size", [4, 16, 300])
+def test_dense_blocks_by_twos(size):
+    r = np.random.default_rng(6)
+    a, b = (r.integers(-3, 4, (60, 60)) * (r.random((60, 60)) < 0.2) for _ in range(2))
+    x, y = (blocks.opened(blocks.squeezed(blocks.packed(m.nonzero()[1], m.nonzero()[0], m[m.nonzero()]))) for m in (a, b))
+    c = np.zeros((60, 60), int)
+    for i, j, v in blocks.dense_products(x, y, size):
+        assert not c[i, j].any()
+        c[i, j] = v
+    assert (c == a @ b).all()
